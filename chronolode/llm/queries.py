@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from chronolode.llm import media
+from chronolode.llm import bpe, counts, media
 
-QUERIES = {"op1_media": media.query}
+QUERIES = {"op1_media": media.query, "op2_bpe": bpe.query, "op4_token_counts": counts.query}
 ORACLES: dict[str, str] = {}
