@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from chronolode.llm import bpe, counts, licenses, lines, media, mixing, quality, toxicity
+from chronolode.llm import bpe, counts, embeddings, licenses, lines, media, mixing, quality, simhash, toxicity
 
 QUERIES = {
     "op1_media": media.query,
     "op2_bpe": bpe.query,
+    "op3_embedding_dedup": embeddings.query,
     "op4_token_counts": counts.query,
+    "op5_simhash": simhash.query,
     "op6_licenses": licenses.query,
     "op7_quality": quality.query,
     "op8_toxicity": toxicity.query,
     "op9_mixing": mixing.query,
     "op10_line_dedup": lines.query,
 }
-ORACLES: dict[str, str] = {"op6_licenses": licenses.ORACLE, "op9_mixing": mixing.ORACLE, "op10_line_dedup": lines.ORACLE}
+ORACLES: dict[str, str] = {"op3_embedding_dedup": embeddings.ORACLE, "op6_licenses": licenses.ORACLE, "op9_mixing": mixing.ORACLE, "op10_line_dedup": lines.ORACLE}
