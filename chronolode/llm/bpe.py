@@ -57,21 +57,25 @@ def load_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
 
 
+#: A step: neighbours meet the merge table; of each word's pairs of least rank the leftmost is contracted, with every second one of a chain of equal pairs where that is safe.
 ENCODE = """
-WITH RECURSIVE step(w, pos, tok, turn) AS (
-  SELECT w, unnest(range(1, len(s) + 1)), unnest(string_split(s, '')), 0 FROM words WHERE s NOT IN (SELECT tok FROM vocab)
-  UNION ALL
-  SELECT w, pos, CASE WHEN taken THEN tok || nxt ELSE tok END, turn + 1
-  FROM (SELECT *, lag(taken) OVER (PARTITION BY w ORDER BY pos) AS gone
-    FROM (SELECT *, hit AND CASE WHEN safe THEN (rn - coalesce(max(CASE WHEN NOT hit THEN rn END) OVER (PARTITION BY w ORDER BY pos), 0)) % 2 = 1 ELSE pos = min(CASE WHEN hit THEN pos END) OVER (PARTITION BY w) END AS taken
-      FROM (SELECT *, rank IS NOT NULL AND rank = min(rank) OVER (PARTITION BY w) AS hit, min(rank) OVER (PARTITION BY w) AS least
-        FROM (SELECT p.*, v.rank, v.safe FROM (SELECT *, lead(tok) OVER (PARTITION BY w ORDER BY pos) AS nxt, row_number() OVER (PARTITION BY w ORDER BY pos) AS rn FROM step) p LEFT JOIN vocab v ON v.tok = p.tok || p.nxt)))
-    WHERE least IS NOT NULL)
-  WHERE gone IS DISTINCT FROM true
+WITH RECURSIVE step(w, pos, id, turn) AS (
+  SELECT w, pos, bytes.id, 0 FROM (SELECT w, unnest(range(1, len(s) + 1)) AS pos, unnest(string_split(s, '')) AS c FROM words WHERE s NOT IN (SELECT tok FROM vocab)) JOIN bytes ON c = bytes.tok
+  UNION ALL (
+  WITH neighbours AS (SELECT w, pos, id * 65536 + lead(id) OVER o AS pair, lead(pos) OVER o AS next FROM step WINDOW o AS (PARTITION BY w ORDER BY pos)),
+  mergeable AS MATERIALIZED (SELECT w, pos, next, id, safe FROM neighbours JOIN merges USING (pair)),
+  best AS MATERIALIZED (SELECT w, min(id) AS least FROM mergeable GROUP BY w),
+  least AS (SELECT m.*, row_number() OVER (PARTITION BY m.w ORDER BY pos) AS n FROM mergeable m JOIN best ON m.w = best.w AND m.id = best.least),
+  chained AS (SELECT *, pos = lag(next) OVER (PARTITION BY w ORDER BY pos) AS linked FROM least),
+  placed AS (SELECT *, n - max(CASE WHEN linked IS DISTINCT FROM true THEN n END) OVER (PARTITION BY w ORDER BY pos) AS place FROM chained),
+  taken AS MATERIALIZED (SELECT w, pos, next, id FROM placed WHERE CASE WHEN safe THEN place % 2 = 0 ELSE n = 1 END)
+  SELECT s.w, s.pos, coalesce(t.id, s.id), s.turn + 1
+  FROM step s JOIN best ON s.w = best.w LEFT JOIN taken t ON t.w = s.w AND t.pos = s.pos
+  WHERE NOT EXISTS (SELECT 1 FROM taken g WHERE g.w = s.w AND g.next = s.pos))
 )
-SELECT w, list(rank ORDER BY pos) AS ids
-FROM (SELECT w, pos, tok FROM (SELECT *, max(turn) OVER (PARTITION BY w) AS final FROM step) WHERE turn = final
-  UNION ALL SELECT w, 1, s FROM words WHERE s IN (SELECT tok FROM vocab)) JOIN vocab USING (tok)
+SELECT w, list(id ORDER BY pos) AS ids
+FROM (SELECT w, pos, id FROM (SELECT *, max(turn) OVER (PARTITION BY w) AS final FROM step) WHERE turn = final
+  UNION ALL SELECT w, 1, rank FROM words JOIN vocab ON s = tok)
 GROUP BY w ORDER BY w
 """
 
@@ -83,17 +87,25 @@ class Codec:
 
     def __init__(self, path: str) -> None:
         ranks = load_ranks(path)
-        ends: dict[bytes, int] = {}
+        assert max(ranks.values()) < 1 << 16
+        pairs: dict[int, int] = {}
+        ends: dict[int, int] = {}  # of a token: the least rank of those that begin or end with it
         for t, r in ranks.items():
             for i in range(1, len(t)):
-                for part in (t[:i], t[i:]):
-                    if part in ranks:
+                a, b = ranks.get(t[:i]), ranks.get(t[i:])
+                for part in (a, b):
+                    if part is not None:
                         ends[part] = min(r, ends.get(part, r))
+                if a is not None and b is not None:
+                    pairs[a << 16 | b] = r
         self.db = duckdb.connect(config={"threads": 1, "memory_limit": DUCK_MEMORY})
-        table = pa.table({"tok": [t.decode("latin-1") for t in ranks], "rank": pa.array(ranks.values(), pa.int32()), "safe": [ends.get(t, r) >= r for t, r in ranks.items()]})
-        self.db.register("given", table)
-        self.db.execute("CREATE TABLE vocab AS SELECT * FROM given")
-        self.db.unregister("given")
+        vocab = pa.table({"tok": [t.decode("latin-1") for t in ranks], "rank": pa.array(ranks.values(), pa.int64())})
+        merges = pa.table({"pair": pa.array(pairs.keys(), pa.int64()), "id": pa.array(pairs.values(), pa.int64()), "safe": [ends.get(r, r) >= r for r in pairs.values()]})
+        for name, table in (("vocab", vocab), ("merges", merges)):
+            self.db.register("given", table)
+            self.db.execute(f"CREATE TABLE {name} AS SELECT * FROM given")
+            self.db.unregister("given")
+        self.db.execute("CREATE TABLE bytes AS SELECT tok, rank AS id FROM vocab WHERE length(tok) = 1")
         self.known: dict[str, bytes] = {}
 
     def learn(self, words: list[str]) -> None:
@@ -108,7 +120,7 @@ class Codec:
                 size += len(words[at])
                 at += 1
             self.db.register("words", pa.table({"w": pa.array(range(len(some)), pa.int32()), "s": [x.encode().decode("latin-1") for x in some]}))
-            ids = self.db.execute(ENCODE).to_arrow_table()["ids"].combine_chunks()
+            ids = self.db.sql(ENCODE).to_arrow_table()["ids"].combine_chunks()
             self.db.unregister("words")
             ids = ids.chunk(0) if isinstance(ids, pa.ChunkedArray) else ids
             data, ends = ids.flatten().to_numpy(zero_copy_only=False).astype("<u4").tobytes(), (ids.offsets.to_numpy() - ids.offsets[0].as_py()) * 4
@@ -135,7 +147,7 @@ class Codec:
                 counts = [len(x) // 4 for _, x in rows]
                 flat = np.frombuffer(b"".join(x for _, x in rows), "<u4").astype(np.int32)
                 self.db.register("tokens", pa.table({"doc": np.repeat(np.arange(len(rows), dtype=np.int32), counts), "pos": np.arange(len(flat), dtype=np.int32), "id": flat}))
-                got = self.db.execute(DECODE).to_arrow_table()
+                got = self.db.sql(DECODE).to_arrow_table()
                 self.db.unregister("tokens")
                 for doc, s in zip(got["doc"].to_pylist(), got["s"].to_pylist(), strict=True):
                     out[rows[doc][0]] += s.encode("latin-1")
