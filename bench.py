@@ -47,12 +47,13 @@ def main() -> None:
             began = time.perf_counter()
             made[name] = written(make(spark, sf))
             queries[f"build_{name}"] = round(time.perf_counter() - began, 3)
-        r = variant(method, made[name], 2, k, prepared=True, budget_s=120)
+        r = variant(method, made[name], 2, k, prepared=True, budget_s=120, window_raise=True)
         key = f"{name}_{method}_k{k}"
         queries[key] = round(r.runtime_s, 3)
         details[key] = {**r.candidates, "initial": r.initial_min_util, "end": r.end_min_util, "waves": r.waves, "complete": r.complete}
+        print(key, queries[key], details[key], file=sys.stderr, flush=True)
     for mtd in (2, 4, 6):
-        r = variant("full", made["orders"], mtd, 1000, prepared=True, budget_s=120)
+        r = variant("full", made["orders"], mtd, 1000, prepared=True, budget_s=120, window_raise=True)
         queries[f"orders_full_k1000_mtd{mtd}"] = round(r.runtime_s, 3)
         details[f"orders_full_k1000_mtd{mtd}"] = {**r.candidates, "initial": r.initial_min_util, "end": r.end_min_util, "complete": r.complete}
     print(json.dumps({"metric": "seconds of all mining runs", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "sf": sf, "details": details}))

@@ -62,6 +62,18 @@ def initial(ces: DataFrame, k: int, raise_: tuple[str, ...], mode: str = "distin
     return kth(merged, k, "zero" if mode == "distinct" else "last")
 
 
+def by_window(index: DataFrame, k: int) -> int:
+    """A safe threshold from whole windows (arrays of the window index): all events of a window, with at most one left out, are an episode whose one occurrence there is minimal,
+    since it needs every time of the window. Equal episodes of several windows count once, with the largest value; 0 unless there are k. Ours; not among the printed strategies."""
+    alone = ~(F.coalesce(F.get("t", F.col("p") - 2) == F.get("t", F.col("p") - 1), F.lit(False)) | F.coalesce(F.get("t", F.col("p")) == F.get("t", F.col("p") - 1), F.lit(False)))
+    rows = index.select("ts", "t", "u", (F.col("u")[0] + F.col("rest")[0]).alias("total"), F.explode(F.sequence(F.lit(0), F.size("t"))).alias("p"))
+    rows = rows.filter((F.col("p") == 0) | ~alone).select("ts", "p", (F.col("total") - F.coalesce(F.get("u", F.col("p") - 1), F.lit(0))).alias("value"))
+    best = rows.orderBy(F.desc("value"), "ts", "p").limit(4 * k)
+    name = F.array_join(F.transform(F.filter(F.sequence(F.lit(1), F.size("t")), lambda x: x != F.col("p")), lambda x: F.concat(F.element_at("items", x), F.lit("@"), F.size(F.array_distinct(F.filter("t", lambda y: y <= F.element_at("t", x)))).cast("string"))), "+")
+    named = best.join(index.select("ts", "t", "items"), "ts").groupBy(name.alias("name")).agg(F.max("value").alias("utility"))
+    return kth(named, k)
+
+
 def by_candidate(best: dict[str, tuple], k: int, min_util: int, distinct: bool = True) -> int:
     """The threshold after new episodes entered the best ones so far (key to a row whose first field is the utility)."""
     if len(best) < k:

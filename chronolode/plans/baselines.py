@@ -18,7 +18,8 @@ RAISES = {"none": (), "event": ("event",), "transaction": ("transaction",), "eve
 
 
 def variant(name: str, ces: DataFrame, mtd: int, k: int, **more) -> Result:  # noqa: ANN003
-    return mine_top_k(ces, mtd, k, **{**VARIANTS[name], **more})
+    """A compared method, with the printed raising strategies only unless window_raise is given."""
+    return mine_top_k(ces, mtd, k, **{"window_raise": False, **VARIANTS[name], **more})
 
 
 def exhaustive(ces: DataFrame, mtd: int, max_len: int | None = None, span: str = "gap") -> DataFrame:

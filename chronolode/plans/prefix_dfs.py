@@ -1,6 +1,6 @@
 """Depth-first growth of one root's subtree inside a task, and waves of roots over tasks.
 
-A group holds the windows of one root (or of one root and its second event, where a root is hot) from the root's event on. The miner grows episodes by same-time and later events, prunes by the bound,
+A group holds the windows of some roots (or a part of the children of one, where a root is hot), each from the root's event on. The miner grows episodes by same-time and later events, prunes by the bound,
 and raises its threshold by the best k it has. A group returns its episodes that reach the threshold and one row of counters.
 """
 
@@ -10,6 +10,7 @@ import heapq
 import zlib
 from collections.abc import Callable
 from dataclasses import dataclass
+from itertools import groupby
 
 import numpy as np
 import pandas as pd
@@ -165,27 +166,19 @@ def _report(miner: Miner) -> pd.DataFrame:
 COLUMNS = ["ts", "t", "items", "u", "rest", "beside"]
 
 
-def subtree(rules: Rules, min_util: int) -> Callable[[pd.DataFrame], pd.DataFrame]:
-    """A function for applyInPandas over (root, part, parts, ts, t[], items[], u[], rest[], beside): the windows of one root from its event on."""
+def subtrees(rules: Rules, min_util: int) -> Callable[[pd.DataFrame], pd.DataFrame]:
+    """A function for applyInPandas over (root, bound, part, parts, ts, t[], items[], u[], rest[], beside): the windows of some roots, each from the root's event on.
 
-    def mine(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("ts")
-        miner = Miner(rules, min_util)
-        _root(miner, list(pdf[COLUMNS].itertuples(index=False)), int(pdf["part"].iloc[0]), int(pdf["parts"].iloc[0]), pdf["root"].iloc[0])
-        return _report(miner)
-
-    return mine
-
-
-def whole_tree(rules: Rules, min_util: int) -> Callable[[pd.DataFrame], pd.DataFrame]:
-    """As subtree(), but over all roots in one task, in falling order of the column bound: the order of a single process, with one threshold for all."""
+    Roots are mined in falling order of bound with one threshold for all, as a single process would with all roots."""
 
     def mine(pdf: pd.DataFrame) -> pd.DataFrame:
         miner = Miner(rules, min_util)
-        for (negative, root), rows in pdf.assign(negative=-pdf["bound"]).sort_values("ts").groupby(["negative", "root"], sort=True):
-            if -negative < miner.min_util:
+        pdf = pdf.sort_values(["bound", "root", "part", "ts"], ascending=[False, True, True, True])
+        rows = pdf[["bound", "root", "part", "parts", *COLUMNS]].itertuples(index=False, name=None)
+        for (bound, root, part, parts), some in groupby(rows, key=lambda r: r[:4]):
+            if bound < miner.min_util:
                 break
-            _root(miner, list(rows[COLUMNS].itertuples(index=False)), 0, 1, root)
+            _root(miner, [r[4:] for r in some], part, parts, root)
         return _report(miner)
 
     return mine
