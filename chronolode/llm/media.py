@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from chronolode.llm.common import id_and_text, per_batch, read
 
 WIDTH, ROWS, FPS, BINS = 64, 64, 25, 16
-#: An adaptive cut: a difference above the mean and this many deviations of the differences before it, within a window of so many.
+#: An adaptive cut: a difference above the mean and this many deviations of the differences before it in the same shot, within a window of so many.
 DEVIATIONS, WINDOW, LEAST = 3.0, 8, 0.35
 
 #: Fixed values of the JPEG standard: the zigzag order of an 8 x 8 block.
@@ -260,7 +260,7 @@ def clips(frames: list[np.ndarray]) -> list[tuple[int, int]]:
     hists = np.stack([np.bincount(f.ravel() >> 4, minlength=BINS) / f.size for f in frames])
     diffs, starts = np.abs(np.diff(hists, axis=0)).sum(axis=1), [0]
     for i, d in enumerate(diffs):
-        past = diffs[max(0, i - WINDOW) : i]
+        past = diffs[max(starts[-1], i - WINDOW) : i]
         if d > LEAST and (not len(past) or d > past.mean() + DEVIATIONS * past.std()):
             starts.append(i + 1)
     return list(zip(starts, [s - 1 for s in starts[1:]] + [len(frames) - 1], strict=True))

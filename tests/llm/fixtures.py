@@ -13,7 +13,7 @@ def documents(spark, texts=None):
     body = [" ".join(r.choice(words) for _ in range(r.randrange(5, 60))) for _ in range(30)]
     base = texts or [None, "", " \n\t", "same line of text here\nother", "same line of text here\nother", "SAME line of text here \nmore words follow", "short\nshort", *body, body[0], body[0] + " tail", "word " * 3000, "a\x00b <|endoftext|> c"]
     rows = [(i, t, "en", ["s1", "s2", None, "s10"][i % 4], None if t is None else len(t), 0.5, "x") for i, t in enumerate(base)]
-    rows += [rows[7], (None, "text without an id of its own", None, "s1", 5, None, None)]
+    rows += [rows[min(7, len(rows) - 1)], (None, "text without an id of its own", None, "s1", 5, None, None)]
     return spark.createDataFrame(rows, SCHEMA)
 
 
