@@ -95,8 +95,8 @@ def _sequence(text: Column) -> Column:
 def scan(docs: DataFrame) -> DataFrame:
     """(doc_id, licenses, by_line, by_sentence): the licences in order of name, comma-joined, and the two sequences of identifiers."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    cut = F.regexp_replace(text, r"([.!?;:])[\x20\t]+", "$1\n")
-    joined = F.regexp_replace(F.regexp_replace(cut, r"\n[\x20\t]*\n", BREAK), r"([.!?;:])[\x20\t\r]*\n", "$1" + BREAK)
+    cut = F.regexp_replace(text, r"([.!?])[\x20\t]+", "$1\n")
+    joined = F.regexp_replace(F.regexp_replace(cut, r"\n[\x20\t]*\n", BREAK), r"([.!?])[\x20\t\r]*\n", "$1" + BREAK)
     sentences = F.translate(F.translate(joined, "\n", " "), BREAK, "\n")
     hit = text.rlike(f"(?i)(?:{ANCHORS})")
     out = docs.select(F.col("doc_id"), hit.alias("hit"), F.when(hit, cut).alias("lines"), F.when(hit, sentences).alias("sentences"))
@@ -120,8 +120,8 @@ def _oracle() -> str:
     found = ", ".join(f"CASE WHEN regexp_matches(by_line, '{p}') OR regexp_matches(by_sentence, '{p}') THEN '{n}' END" for n in names for p in ["|".join(rule_pattern(i) for m, i in RULES if m == n)])
     return rf"""
 WITH known(s, id) AS (VALUES {known}),
-d AS (SELECT doc_id, coalesce(text, '') AS text, regexp_replace(coalesce(text, ''), '([.!?;:])[ \t]+', '\1' || chr(10), 'g') AS cut FROM documents),
-u AS (SELECT doc_id, cut, replace(replace(regexp_replace(regexp_replace(cut, '\n[ \t]*\n', chr(8233), 'g'), '([.!?;:])[ \t\r]*\n', '\1' || chr(8233), 'g'), chr(10), ' '), chr(8233), chr(10)) AS sentences FROM d),
+d AS (SELECT doc_id, coalesce(text, '') AS text, regexp_replace(coalesce(text, ''), '([.!?])[ \t]+', '\1' || chr(10), 'g') AS cut FROM documents),
+u AS (SELECT doc_id, cut, replace(replace(regexp_replace(regexp_replace(cut, '\n[ \t]*\n', chr(8233), 'g'), '([.!?])[ \t\r]*\n', '\1' || chr(8233), 'g'), chr(10), ' '), chr(8233), chr(10)) AS sentences FROM d),
 p AS (SELECT doc_id, kind, generate_subscripts(parts, 1) AS pos, unnest(parts) AS piece FROM (SELECT doc_id, 0 AS kind, string_split(cut, chr(10)) AS parts FROM u UNION ALL SELECT doc_id, 1, string_split(sentences, chr(10)) FROM u)),
 m AS (SELECT doc_id, kind, ',' || string_agg(id, ',' ORDER BY pos) || ',' AS seq FROM p JOIN known ON trim(regexp_replace(lower(piece), '[^a-z0-9]+', ' ', 'g')) = known.s WHERE length(piece) >= 5 GROUP BY doc_id, kind),
 x AS (SELECT d.doc_id, coalesce(a.seq, '') AS by_line, coalesce(b.seq, '') AS by_sentence FROM d LEFT JOIN m a ON a.doc_id = d.doc_id AND a.kind = 0 LEFT JOIN m b ON b.doc_id = d.doc_id AND b.kind = 1)

@@ -84,12 +84,12 @@ def test_licences(spark):
 
     assert all(re.search(licenses.ANCHORS, s) for s in licenses.SENTENCES.values())
     texts = [
-        "Released under the MIT License.", "prose\nLicensed under the Apache License,\nVersion 2.0. More.", "This program is free software: you can redistribute it and/or modify it\nunder the terms of the GNU General Public License as published by\nthe Free Software Foundation, either version 3 of the License, or\n(at your option) any later version.\n\nThis program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of merchantability or fitness for a particular purpose.",
+        "Released under the MIT License.", "Prose.\nLicensed under the Apache License,\nVersion 2.0. More.", "This program is free software: you can redistribute it and/or modify it\nunder the terms of the GNU General Public License as published by\nthe Free Software Foundation, either version 3 of the License, or\n(at your option) any later version.\n\nThis program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of merchantability or fitness for a particular purpose.",
         "the license plate", None, "SPDX-License-Identifier: MIT\nLicensed under CC BY-NC 4.0.",
     ]
     docs = documents(spark, texts)
     got = {r.doc_id: r.licenses for r in licenses.scan(docs).collect()}
-    assert [got[i] for i in range(6)] == ["MIT", "Apache-2.0", "", "", "", "CC-BY-NC-4.0,MIT"]
+    assert [got[i] for i in range(6)] == ["MIT", "Apache-2.0", "GPL-3.0-or-later", "", "", "CC-BY-NC-4.0,MIT"]
     assert licenses.scan(empty(spark)).count() == 0
 
 
