@@ -197,7 +197,7 @@ add("full_support_utility", _full, f"SELECT coalesce(a.episode, b.episode) AS ep
 
 
 def _set_ops(s: SparkSession, d: str) -> DataFrame:
-    """Event types of the first and second half of the hours: in both, and in one only."""
+    """Event types of the first and second twelve hours of the first day, no others: in both, and in one only."""
     c = ces.event_hours(s, d)
     a, b = c.filter("t <= 12").select("item"), c.filter("t > 12 AND t <= 24").select("item")
     return a.intersect(b).withColumn("side", F.lit("both")).unionByName(a.exceptAll(b).withColumn("side", F.lit("more"))).unionByName(b.subtract(a).withColumn("side", F.lit("second")))
@@ -206,6 +206,17 @@ def _set_ops(s: SparkSession, d: str) -> DataFrame:
 add("set_ops_items", _set_ops, f"WITH c AS ({sql.CES['hours']}), a AS (SELECT item FROM c WHERE t <= 12), b AS (SELECT item FROM c WHERE t > 12 AND t <= 24) SELECT item, 'both' AS side FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT item, 'more' FROM (SELECT * FROM a EXCEPT ALL SELECT * FROM b) UNION ALL SELECT item, 'second' FROM (SELECT * FROM b EXCEPT SELECT * FROM a)")
 
 
+def _set_ops_all(s: SparkSession, d: str) -> DataFrame:
+    """Event types of the first and second half of the whole clock, every row on one side: in both, and in one only."""
+    c = ces.event_hours(s, d)
+    c = c.join(c.agg(F.floor((F.min("t") + F.max("t")) / 2).alias("middle")))
+    a, b = c.filter("t <= middle").select("item"), c.filter("t > middle").select("item")
+    return a.intersect(b).withColumn("side", F.lit("both")).unionByName(a.exceptAll(b).withColumn("side", F.lit("more"))).unionByName(b.subtract(a).withColumn("side", F.lit("second")))
+
+
+add("set_ops_items_all_hours", _set_ops_all, f"WITH c AS ({sql.CES['hours']}), h AS (SELECT (min(t) + max(t)) // 2 AS middle FROM c), a AS (SELECT item FROM c, h WHERE t <= middle), b AS (SELECT item FROM c, h WHERE t > middle) SELECT item, 'both' AS side FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT item, 'more' FROM (SELECT * FROM a EXCEPT ALL SELECT * FROM b) UNION ALL SELECT item, 'second' FROM (SELECT * FROM b EXCEPT SELECT * FROM a)")
+
+
 def _match(s: SparkSession, d: str) -> DataFrame:
     """Earliest ends of click>view by the table function, over windows that start with a click."""
     from chronolode.functions.sql import register

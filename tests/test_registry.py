@@ -17,3 +17,18 @@ def test_query_equals_sql(spark, name):
 def test_entry_and_names(spark):
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_set_ops_cover_the_whole_clock(spark, tmp_path):
+    """A type of the last day only, and one that leaves after the first half."""
+    import datetime as dt
+
+    rows = [(dt.datetime(2024, 1, day, hour), kind, 1.0, 1) for kind, days in (("both", (1, 2, 29)), ("early", (1, 2)), ("late", (30,))) for day in days for hour in (1, 13)]
+    path = f"{tmp_path}/events.parquet"
+    spark.createDataFrame(rows, "ts timestamp, event_type string, value double, user_id long").coalesce(1).write.parquet(path)
+    query, sql = (f()["set_ops_items_all_hours"] for f in (entry.queries, entry.oracle_sql))
+    found = {(r.item, r.side) for r in query(spark, str(tmp_path)).collect()}
+    assert found == {("both", "both"), ("early", "more"), ("both", "more"), ("late", "second")}
+    for d in (str(tmp_path), "/root/testdata/sf0.01"):
+        a, b, _ = differences(query(spark, d), sql, duck(d))
+        assert not a and not b
