@@ -109,6 +109,7 @@ def _top_k(make: Query, mtd: int, k: int, **more) -> Query:  # noqa: ANN003
 HOURS1 = sql.top_k(sql.CES["hours"], 1, 20)
 add("topk_hours_mtd1", _top_k(ces.event_hours, 1, 20), HOURS1)
 add("topk_hours_mtd2_len4", _top_k(ces.event_hours, 2, 20, max_len=4), sql.top_k(sql.CES["hours"], 2, 20, 4))
+add("topk_hours_mtd2_all_lengths", _top_k(ces.event_hours, 2, 20))  # no SQL: enumeration of windows of 15 events is too slow
 add("topk_minutes_mtd3", _top_k(ces.event_minutes, 3, 50), sql.top_k(sql.CES["minutes"], 3, 50))
 add("topk_minutes_mtd6", _top_k(ces.event_minutes, 6, 50), sql.top_k(sql.CES["minutes"], 6, 50))
 ORDERS1 = f"WITH c AS ({sql.CES['orders']}), s AS (SELECT * FROM (SELECT item AS episode, 1 AS events, 1 AS sets, sum(u)::BIGINT AS utility, count(*)::BIGINT AS frequency FROM c GROUP BY item) UNION ALL SELECT episode, 2, 1, utility, frequency FROM ({sql.pairs('SELECT * FROM c', 1, 'simultaneous')}) UNION ALL SELECT episode, 2, 2, utility, frequency FROM ({sql.pairs('SELECT * FROM c', 1, 'serial')})) SELECT episode, events::INTEGER AS events, sets::INTEGER AS sets, utility, frequency, rank::INTEGER AS rank FROM (SELECT *, row_number() OVER (ORDER BY utility DESC, episode) AS rank FROM s) WHERE rank <= 500"
@@ -135,6 +136,8 @@ add("hue_ratio_hours", lambda s, d: mine_threshold(ces.event_hours(s, d), 1, min
 add("topk_frequent_minutes", lambda s, d: with_rank(baselines.top_k_frequent(ces.event_minutes(s, d), 3, 50).df), sql.top_k(sql.CES["minutes"], 3, 50, by="frequency"))
 add("support_vs_utility", lambda s, d: baselines.compare_support_utility(ces.event_minutes(s, d), 2, 3), sql.enumerated(sql.CES["minutes"], 2, 3) + "SELECT episode, utility, frequency, (row_number() OVER (ORDER BY utility DESC, episode))::INTEGER AS utility_rank, (row_number() OVER (ORDER BY frequency DESC, episode))::INTEGER AS frequency_rank FROM ep")
 
+add("support_vs_utility_all_lengths", lambda s, d: baselines.compare_support_utility(ces.event_minutes(s, d), 2))  # no SQL, as above
+
 
 def _sweep(s: SparkSession, d: str) -> DataFrame:
     return metrics.sweep(s, ces.event_hours(s, d), baselines.VARIANTS, (5, 20), (1,), strategy="dfs_single")

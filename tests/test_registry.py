@@ -1,6 +1,7 @@
 """A sample of the registry beside its SQL, on the smallest tables."""
 
 import __spark_entry__ as entry
+import brute
 import pytest
 from compare import differences, duck
 
@@ -32,3 +33,23 @@ def test_set_ops_cover_the_whole_clock(spark, tmp_path):
     for d in (str(tmp_path), "/root/testdata/sf0.01"):
         a, b, _ = differences(query(spark, d), sql, duck(d))
         assert not a and not b
+
+
+@pytest.mark.parametrize("name, unit", [("topk_hours_mtd2_all_lengths", "hours"), ("support_vs_utility_all_lengths", "minutes")])
+def test_all_lengths_equal_enumeration(spark, tmp_path, name, unit):
+    """Windows of more than four events, ranked by plain enumeration."""
+    import datetime as dt
+
+    rows = [(t, i, 3 * t + ord(i) % 7) for t in (1, 2, 3, 5, 6) for i in ("ABC" if t % 2 else "AC")]
+    stamped = [(dt.datetime(2024, 1, 1) + dt.timedelta(**{unit: t - 1}), i, u / 100, 1) for t, i, u in rows]
+    spark.createDataFrame(stamped, "ts timestamp, event_type string, value double, user_id long").coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    got = entry.queries()[name](spark, str(tmp_path)).collect()
+    every = brute.utilities(rows, 2)
+    length = lambda e: e.count("+") + e.count(">") + 1
+    if unit == "hours":
+        assert [(r.episode, r.utility, r.frequency) for r in sorted(got, key=lambda r: r["rank"])] == brute.top(rows, 2, 20)
+    else:
+        by = {c: [e for e in sorted(every, key=lambda e: (-every[e][c], e))] for c in (0, 1)}
+        assert {r.episode: (r.utility, r.frequency) for r in got} == every
+        assert [r.episode for r in sorted(got, key=lambda r: r.utility_rank)] == by[0] and [r.episode for r in sorted(got, key=lambda r: r.frequency_rank)] == by[1]
+    assert max(length(r.episode) for r in got) > 4
