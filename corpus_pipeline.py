@@ -8,8 +8,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from chronolode.llm import bpe, lines, mixing, quality, simhash
-from chronolode.llm.common import read, shared_folder
+from chronolode.llm import bpe, lines, mixing, near, quality, simhash
+from chronolode.llm.common import read, shared_folder, written
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -23,8 +23,8 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies."""
-    return simhash.deduplicated(docs)
+    """One document of each group of near copies: five-word shingles shared to 0.8 or more first, then fingerprints within op5's distance."""
+    return simhash.deduplicated(written(near.deduplicated(docs)))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,7 +40,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("quality classifier", keep_quality),
     ("line dedup", drop_repeated_lines),
-    ("simhash near-dedup", drop_near_copies),
+    ("near-dedup", drop_near_copies),
     ("mixing sources", mix_sources),
     ("byte-level BPE", encode),
 ]

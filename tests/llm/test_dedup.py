@@ -5,7 +5,7 @@ from collections import defaultdict
 import numpy as np
 import pytest
 import xxhash
-from chronolode.llm import embeddings, graph, lines, simhash
+from chronolode.llm import embeddings, graph, lines, near, simhash
 from fixtures import documents, empty, roots, rows_of
 
 
@@ -52,6 +52,32 @@ def test_simhash_links_and_groups(spark, monkeypatch, few):
     assert simhash.groups(empty(spark)).count() == 0 and simhash.deduplicated(empty(spark)).count() == 0
 
 
+def test_near_copies_at_five_words(spark):
+    """Copies with edits here and there, beside the Jaccard similarity of all pairs; the fingerprints of most are too far apart for op5."""
+    import corpus_pipeline
+
+    r = random.Random(9)
+    base = [[f"w{r.randrange(5000)}" for _ in range(120)] for _ in range(12)]
+    edited = lambda ws, n: [f"e{r.randrange(9999)}" if i in at else w for at in [set(r.sample(range(120), n))] for i, w in enumerate(ws)]
+    texts = [None, "", " \n", "one two", "One  TWO", *(" ".join(edited(ws, n)) for ws in base for n in (0, 0, 1, 2, 2, 3, 6))]
+    docs = documents(spark, texts)
+
+    def slow(text):
+        ws = (text or "").encode().lower().split()
+        return {tuple(ws[i : i + 5]) for i in range(max(1, len(ws) - 4))} if ws else set()
+
+    sets = {d: slow(t) for d, t, _ in rows_of(docs) if d is not None}
+    like = lambda x, y: x == y or len(x & y) >= 0.8 * len(x | y)
+    root = roots(sets, [(a, b) for a in sets for b in sets if a < b and like(sets[a], sets[b])])
+    got = {x.doc_id: x.component_id for x in near.groups(docs).collect() if x.doc_id is not None}
+    assert got == root and len(set(root.values())) < len(root)
+    kept = near.deduplicated(docs)
+    assert kept.columns == docs.columns and sorted(x.doc_id for x in kept.collect() if x.doc_id is not None) == sorted(set(root.values()))
+    assert near.groups(empty(spark)).count() == 0
+    stayed = {x.doc_id for x in corpus_pipeline.drop_near_copies(spark, docs, "").collect() if x.doc_id is not None}
+    assert stayed <= set(root.values()) and not {x.doc_id for x in simhash.deduplicated(docs).collect() if x.doc_id is not None} <= set(root.values())
+
+
 def slow_lines(rows, least=10):
     key = lambda s: s.strip(" \t\n\x0b\f\r").translate(lines.TO_LOWER)
     order = lambda d: (d is None, d or 0)
