@@ -76,6 +76,10 @@ RULES = [
 #: Stands for a break while wrapped lines are joined: the paragraph separator.
 BREAK = "\u2029"
 ANCHORS = "licen[cs]e|licensed|permission|permitted|copyright|warrant"
+#: The same with the notice that reserves all rights, which is no licence: for op6_notices.
+ALL_SENTENCES = SENTENCES | {60: "all rights reserved"}
+ALL_RULES = [*RULES, ("Proprietary", (60,))]
+ALL_ANCHORS = f"{ANCHORS}|rights[^a-z0-9]+reserved"
 
 
 def rule_pattern(ids: tuple[int, ...]) -> str:
@@ -83,28 +87,28 @@ def rule_pattern(ids: tuple[int, ...]) -> str:
     return "," + ",(?:[0-9]+,)*".join(map(str, ids)) + ","
 
 
-def _sequence(text: Column) -> Column:
+def _sequence(text: Column, sentences: dict[int, str]) -> Column:
     """',id,id,' of the known sentences among the pieces between line feeds."""
-    known = F.create_map(*(F.lit(x) for i, s in SENTENCES.items() for x in (s, str(i))))
+    known = F.create_map(*(F.lit(x) for i, s in sentences.items() for x in (s, str(i))))
     pieces = F.filter(F.split(text, "\n"), lambda s: F.length(s) >= 5)
     ids = F.transform(pieces, lambda s: known[F.btrim(F.regexp_replace(F.lower(s), "[^a-z0-9]+", " "))])
     ids = F.filter(ids, lambda i: i.isNotNull())
     return F.when(F.size(ids) == 0, "").otherwise(F.concat(F.lit(","), F.array_join(ids, ","), F.lit(",")))
 
 
-def scan(docs: DataFrame) -> DataFrame:
+def scan(docs: DataFrame, known: dict[int, str] = SENTENCES, rules: list[tuple[str, tuple[int, ...]]] = RULES, anchors: str = ANCHORS) -> DataFrame:
     """(doc_id, licenses, by_line, by_sentence): the licences in order of name, comma-joined, and the two sequences of identifiers."""
     text = F.coalesce(F.col("text"), F.lit(""))
     cut = F.regexp_replace(text, r"([.!?])[\x20\t]+", "$1\n")
     joined = F.regexp_replace(F.regexp_replace(cut, r"\n[\x20\t]*\n", BREAK), r"([.!?])[\x20\t\r]*\n", "$1" + BREAK)
     sentences = F.translate(F.translate(joined, "\n", " "), BREAK, "\n")
-    hit = text.rlike(f"(?i)(?:{ANCHORS})")
+    hit = text.rlike(f"(?i)(?:{anchors})")
     out = docs.select(F.col("doc_id"), hit.alias("hit"), F.when(hit, cut).alias("lines"), F.when(hit, sentences).alias("sentences"))
-    out = out.select("doc_id", F.when(F.col("hit"), _sequence(F.col("lines"))).otherwise("").alias("by_line"), F.when(F.col("hit"), _sequence(F.col("sentences"))).otherwise("").alias("by_sentence"))
-    names = sorted({n for n, _ in RULES})
+    out = out.select("doc_id", F.when(F.col("hit"), _sequence(F.col("lines"), known)).otherwise("").alias("by_line"), F.when(F.col("hit"), _sequence(F.col("sentences"), known)).otherwise("").alias("by_sentence"))
+    names = sorted({n for n, _ in rules})
 
     def found(name: str) -> Column:
-        patterns = "|".join(rule_pattern(ids) for n, ids in RULES if n == name)
+        patterns = "|".join(rule_pattern(ids) for n, ids in rules if n == name)
         return F.when(F.col("by_line").rlike(patterns) | F.col("by_sentence").rlike(patterns), name)
 
     return out.select("doc_id", F.array_join(F.array_compact(F.array(*map(found, names))), ",").alias("licenses"), "by_line", "by_sentence")
@@ -114,10 +118,14 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan(read(spark, sf_dir, "documents"))
 
 
-def _oracle() -> str:
-    known = ", ".join(f"('{s}', '{i}')" for i, s in SENTENCES.items())
-    names = sorted({n for n, _ in RULES})
-    found = ", ".join(f"CASE WHEN regexp_matches(by_line, '{p}') OR regexp_matches(by_sentence, '{p}') THEN '{n}' END" for n in names for p in ["|".join(rule_pattern(i) for m, i in RULES if m == n)])
+def notices_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scan(read(spark, sf_dir, "documents"), ALL_SENTENCES, ALL_RULES, ALL_ANCHORS)
+
+
+def _oracle(sentences: dict[int, str] = SENTENCES, rules: list[tuple[str, tuple[int, ...]]] = RULES) -> str:
+    known = ", ".join(f"('{s}', '{i}')" for i, s in sentences.items())
+    names = sorted({n for n, _ in rules})
+    found = ", ".join(f"CASE WHEN regexp_matches(by_line, '{p}') OR regexp_matches(by_sentence, '{p}') THEN '{n}' END" for n in names for p in ["|".join(rule_pattern(i) for m, i in rules if m == n)])
     return rf"""
 WITH known(s, id) AS (VALUES {known}),
 d AS (SELECT doc_id, coalesce(text, '') AS text, regexp_replace(coalesce(text, ''), '([.!?])[ \t]+', '\1' || chr(10), 'g') AS cut FROM documents),
@@ -130,3 +138,4 @@ SELECT doc_id, array_to_string(list_filter([{found}], lambda y: y IS NOT NULL),
 
 
 ORACLE = _oracle()
+NOTICES_ORACLE = _oracle(ALL_SENTENCES, ALL_RULES)

@@ -11,9 +11,10 @@ QUERIES = {
     "op4_token_counts": counts.query,
     "op5_simhash": simhash.query,
     "op6_licenses": licenses.query,
+    "op6_notices": licenses.notices_query,
     "op7_quality": quality.query,
     "op8_toxicity": toxicity.query,
     "op9_mixing": mixing.query,
     "op10_line_dedup": lines.query,
 }
-ORACLES: dict[str, str] = {"op3_embedding_dedup": embeddings.ORACLE, "op6_licenses": licenses.ORACLE, "op9_mixing": mixing.ORACLE, "op10_line_dedup": lines.ORACLE}
+ORACLES: dict[str, str] = {"op3_embedding_dedup": embeddings.ORACLE, "op6_licenses": licenses.ORACLE, "op6_notices": licenses.NOTICES_ORACLE, "op9_mixing": mixing.ORACLE, "op10_line_dedup": lines.ORACLE}

@@ -96,3 +96,11 @@ def test_licences(spark):
 def test_licences_equal_sql(spark):
     a, b, _ = differences(licenses.query(spark, "/root/testdata/sf0.01"), licenses.ORACLE, duck("/root/testdata/sf0.01"))
     assert not a and not b
+
+
+def test_reserved_rights_are_a_notice(spark):
+    texts = ["Prose.\nAll rights reserved.", "Prose. ALL RIGHTS\nRESERVED. More.", "all rights were reserved", "Released under the MIT License.\nAll rights reserved."]
+    got = {r.doc_id: r.licenses for r in licenses.scan(documents(spark, texts), licenses.ALL_SENTENCES, licenses.ALL_RULES, licenses.ALL_ANCHORS).collect()}
+    assert [got[i] for i in range(4)] == ["Proprietary", "Proprietary", "", "MIT,Proprietary"]
+    a, b, _ = differences(licenses.notices_query(spark, "/root/testdata/sf0.01"), licenses.NOTICES_ORACLE, duck("/root/testdata/sf0.01"))
+    assert not a and not b
