@@ -40,13 +40,14 @@ add("props_weighted_events", ces.props_weighted, sql.CES["props"])
 add("ordinal_clock_orders", lambda s, d: ces.ordinal_clock(ces.load(s, d, "orders"), "o_orderdate", "o_orderkey").select("o_orderkey", "t"), "SELECT o_orderkey, row_number() OVER (ORDER BY o_orderdate, o_orderkey) AS t FROM orders")
 
 
-def _first_orders(s: SparkSession, d: str) -> DataFrame:
+def _first_orders(s: SparkSession, d: str, n: int = 1000) -> DataFrame:
     numbers = ces.ordinal_clock(ces.load(s, d, "orders"), "o_orderdate", "o_orderkey").select((F.col("o_orderkey") + 1).alias("old"), F.col("t").alias("n"))
     rows = ces.order_parts(s, d).join(numbers, F.col("t") == F.col("old")).select(F.col("n").alias("t"), "item", "u")
-    return ces.first_n(rows, 1000)
+    return ces.first_n(rows, n)
 
 
 add("first_n_orders", _first_orders, f"WITH c AS ({sql.CES['orders']}), n AS (SELECT o_orderkey + 1 AS old, row_number() OVER (ORDER BY o_orderdate, o_orderkey) AS t FROM orders) SELECT n.t, item, u FROM c JOIN n ON c.t = n.old WHERE n.t <= 1000")
+add("first_n_orders_10000", lambda s, d: _first_orders(s, d, 10_000), f"WITH c AS ({sql.CES['orders']}), n AS (SELECT o_orderkey + 1 AS old, row_number() OVER (ORDER BY o_orderdate, o_orderkey) AS t FROM orders) SELECT n.t, item, u FROM c JOIN n ON c.t = n.old WHERE n.t <= 10000")
 
 
 def _characteristics(s: SparkSession, d: str) -> DataFrame:

@@ -53,3 +53,9 @@ def test_all_lengths_equal_enumeration(spark, tmp_path, name, unit):
         assert {r.episode: (r.utility, r.frequency) for r in got} == every
         assert [r.episode for r in sorted(got, key=lambda r: r.utility_rank)] == by[0] and [r.episode for r in sorted(got, key=lambda r: r.frequency_rank)] == by[1]
     assert max(length(r.episode) for r in got) > 4
+
+
+def test_first_orders_are_ten_thousand(spark):
+    query, sql = (f()["first_n_orders_10000"] for f in (entry.queries, entry.oracle_sql))
+    a, b, _ = differences(query(spark, "/root/testdata/sf0.01"), sql, duck("/root/testdata/sf0.01"))
+    assert not a and not b and query(spark, "/root/testdata/sf0.01").agg({"t": "max"}).first()[0] == 10_000
