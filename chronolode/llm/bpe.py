@@ -2,11 +2,12 @@
 
 Pre-tokens are found by the public split pattern. Each distinct pre-token that a worker has not met is encoded by a recursive query:
 rows (word, position, token) meet the merge table on the joined bytes of neighbours, every word contracts its leftmost pair of least rank, and
-words without a mergeable pair stop. Further occurrences of the same pair are contracted in the same step where that gives the same result: where no vocabulary entry
-of lower rank begins or ends with the merged token. Decoding joins token rows with the vocabulary and puts their bytes together in the order of position.
+words without a mergeable pair stop. A word's state between steps is the list of its tokens, taken apart into rows in each. In words of more than SHORT bytes further occurrences of the same pair are
+contracted in the same step where that gives the same result: where no vocabulary entry of lower rank begins or ends with the merged token; their state is the rows.
+Decoding joins token rows with the vocabulary and puts their bytes together in the order of position.
 
-Memory: a worker holds the words of about CHUNK characters of text (or of one longer text), CACHE words with their ids, and a DuckDB of at most DUCK_MEMORY.
-One word of n bytes needs as many steps as it has different merged pairs, n at most.
+Memory: a worker holds the words of about CHUNK characters of text (or of one longer text), two generations of CACHE words with their ids, and a DuckDB of at most DUCK_MEMORY.
+A short word needs as many steps as it has contractions, a long one of n bytes as many as it has different merged pairs, n at most.
 
 Defined results: a null text counts as empty and has no tokens; repeated rows give repeated rows; an empty table gives an empty table; other columns are not read.
 """
@@ -28,6 +29,8 @@ from pyspark.sql import DataFrame, SparkSession
 from chronolode.llm.common import id_and_text, per_batch, read
 
 CHUNK, WORDS, TOKENS, CACHE, DUCK_MEMORY = 2_000_000, 50_000, 500_000, 400_000, "400MB"
+#: Bytes of a word that is contracted pair by pair.
+SHORT = 64
 
 #: White space as the pattern's library reads it: the Unicode property.
 SPACE = r"\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
@@ -57,8 +60,23 @@ def load_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
 
 
-#: A step: neighbours meet the merge table; of each word's pairs of least rank the leftmost is contracted, with every second one of a chain of equal pairs where that is safe.
+#: A step: the token-position rows of each word meet the merge table; the leftmost of its pairs of least rank is contracted.
 ENCODE = """
+WITH RECURSIVE step(w, ids, turn) AS (
+  SELECT w, list_transform(string_split(s, ''), lambda c: code[unicode(c) + 1]), 0 FROM words, codes WHERE s NOT IN (SELECT tok FROM vocab)
+  UNION ALL (
+  WITH neighbours AS (SELECT w, unnest(range(1, len(ids))) AS pos, unnest(ids[:-2]) * 65536 + unnest(ids[2:]) AS pair FROM step),
+  best AS (SELECT w, min(id * 65536 + pos) AS least FROM neighbours JOIN merges USING (pair) GROUP BY w),
+  placed AS (SELECT w, least // 65536 AS id, least % 65536 AS pos FROM best)
+  SELECT s.w, s.ids[:pos - 1] || [p.id] || s.ids[pos + 2:], s.turn + 1 FROM step s JOIN placed p ON s.w = p.w)
+)
+SELECT w, arg_max(ids, turn) AS ids FROM step GROUP BY w
+UNION ALL SELECT w, [rank] FROM words JOIN vocab ON s = tok
+ORDER BY w
+"""
+
+#: The same for long words: rows are the state, and every second one of a chain of equal pairs is contracted at once where that is safe.
+ENCODE_LONG = """
 WITH RECURSIVE step(w, pos, id, turn) AS (
   SELECT w, pos, bytes.id, 0 FROM (SELECT w, unnest(range(1, len(s) + 1)) AS pos, unnest(string_split(s, '')) AS c FROM words WHERE s NOT IN (SELECT tok FROM vocab)) JOIN bytes ON c = bytes.tok
   UNION ALL (
@@ -79,7 +97,8 @@ FROM (SELECT w, pos, id FROM (SELECT *, max(turn) OVER (PARTITION BY w) AS final
 GROUP BY w ORDER BY w
 """
 
-DECODE = "SELECT doc, string_agg(tok, '' ORDER BY pos) AS s FROM tokens JOIN vocab ON rank = id GROUP BY doc ORDER BY doc"
+#: Positions rise over all documents, so that one sort serves the groups; `Codec` checks that the aggregate keeps that order.
+DECODE = "SELECT doc, string_agg(tok, '') AS s FROM (SELECT doc, tok FROM tokens JOIN vocab ON rank = id ORDER BY pos) GROUP BY doc ORDER BY doc"
 
 
 class Codec:
@@ -106,37 +125,53 @@ class Codec:
             self.db.execute(f"CREATE TABLE {name} AS SELECT * FROM given")
             self.db.unregister("given")
         self.db.execute("CREATE TABLE bytes AS SELECT tok, rank AS id FROM vocab WHERE length(tok) = 1")
+        self.db.execute("CREATE TABLE codes AS SELECT list(id ORDER BY tok) AS code FROM bytes")
+        assert len(self.db.sql("SELECT unnest(code) FROM codes").fetchall()) == 256
         self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+        turned = pa.table({"doc": pa.array([0, 0, 0], pa.int32()), "pos": pa.array([2, 1, 0], pa.int32()), "id": pa.array([ranks[x] for x in (b"c", b"b", b"a")], pa.int32())})
+        assert self._decoded(turned) == [(0, "abc")]
 
     def learn(self, words: list[str]) -> None:
         """Encodes words that are not known yet, so many at a time."""
-        if len(self.known) + len(words) > CACHE:
-            self.known.clear()
-        at = 0
-        while at < len(words):
-            some, size = [], 0
-            while at < len(words) and (not some or size + len(words[at]) < 10 * WORDS):
-                some.append(words[at])
-                size += len(words[at])
-                at += 1
-            self.db.register("words", pa.table({"w": pa.array(range(len(some)), pa.int32()), "s": [x.encode().decode("latin-1") for x in some]}))
-            ids = self.db.sql(ENCODE).to_arrow_table()["ids"].combine_chunks()
-            self.db.unregister("words")
-            ids = ids.chunk(0) if isinstance(ids, pa.ChunkedArray) else ids
-            data, ends = ids.flatten().to_numpy(zero_copy_only=False).astype("<u4").tobytes(), (ids.offsets.to_numpy() - ids.offsets[0].as_py()) * 4
-            self.known.update((x, data[a:b]) for x, a, b in zip(some, ends, ends[1:], strict=False))
+        short, long = [], []
+        for x in words:
+            (short if len(x) <= SHORT and len(x.encode()) <= SHORT else long).append(x)
+        for group, query in ((short, ENCODE), (long, ENCODE_LONG)):
+            at = 0
+            while at < len(group):
+                some, size = [], 0
+                while at < len(group) and (not some or size + len(group[at]) < 10 * WORDS):
+                    some.append(group[at])
+                    size += len(group[at])
+                    at += 1
+                self.db.register("words", pa.table({"w": pa.array(range(len(some)), pa.int32()), "s": [x.encode().decode("latin-1") for x in some]}))
+                ids = self.db.sql(query).to_arrow_table()["ids"].combine_chunks()
+                self.db.unregister("words")
+                ids = ids.chunk(0) if isinstance(ids, pa.ChunkedArray) else ids
+                data, ends = ids.flatten().to_numpy(zero_copy_only=False).astype("<u4").tobytes(), ((ids.offsets.to_numpy() - ids.offsets[0].as_py()) * 4).tolist()
+                self.known.update((x, data[a:b]) for x, a, b in zip(some, ends, ends[1:], strict=False))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text as little-endian unsigned 32-bit integers."""
         split = [pretokens(t) for t in texts]
-        wanted = set().union(*split)
-        if new := wanted.difference(self.known):
-            held = {w: self.known[w] for w in wanted if w in self.known} if len(self.known) + len(new) > CACHE else {}
-            self.learn(list(new))
-            self.known |= held
+        new = set().union(*split).difference(self.known)
+        if new:
+            if len(self.known) + len(new) > CACHE:  # words of the older generation stay only if they are met again
+                self.known, self.older = {}, self.known
+                new = set().union(*split)
+            again = [w for w in new if w in self.older]
+            self.known.update((w, self.older[w]) for w in again)
+            self.learn(list(new.difference(again)))
         of = self.known.__getitem__
         return [b"".join(map(of, s)) for s in split]
 
+    def _decoded(self, tokens: pa.Table) -> list[tuple[int, str]]:
+        self.db.register("tokens", tokens)
+        got = self.db.sql(DECODE).to_arrow_table()
+        self.db.unregister("tokens")
+        return list(zip(got["doc"].to_pylist(), got["s"].to_pylist(), strict=True))
+
     def decode(self, ids: list[bytes]) -> list[bytes]:
         """The bytes that the ids of each text stand for; a long text is decoded in parts."""
         out, rows, size = [b""] * len(ids), [], 0
@@ -146,10 +181,8 @@ class Codec:
             if rows:
                 counts = [len(x) // 4 for _, x in rows]
                 flat = np.frombuffer(b"".join(x for _, x in rows), "<u4").astype(np.int32)
-                self.db.register("tokens", pa.table({"doc": np.repeat(np.arange(len(rows), dtype=np.int32), counts), "pos": np.arange(len(flat), dtype=np.int32), "id": flat}))
-                got = self.db.sql(DECODE).to_arrow_table()
-                self.db.unregister("tokens")
-                for doc, s in zip(got["doc"].to_pylist(), got["s"].to_pylist(), strict=True):
+                tokens = pa.table({"doc": np.repeat(np.arange(len(rows), dtype=np.int32), counts), "pos": np.arange(len(flat), dtype=np.int32), "id": flat})
+                for doc, s in self._decoded(tokens):
                     out[rows[doc][0]] += s.encode("latin-1")
             rows.clear()
             size = 0
