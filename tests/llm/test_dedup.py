@@ -78,8 +78,11 @@ def test_near_copies_at_five_words(spark):
     assert stayed <= set(root.values()) and not {x.doc_id for x in simhash.deduplicated(docs).collect() if x.doc_id is not None} <= set(root.values())
 
 
+TO_LOWER = {i: i + 32 for i in range(ord("A"), ord("Z") + 1)}
+
+
 def slow_lines(rows, least=10):
-    key = lambda s: s.strip(" \t\n\x0b\f\r").translate(lines.TO_LOWER)
+    key = lambda s: s.strip(" \t\n\x0b\f\r").translate(TO_LOWER)
     order = lambda d: (d is None, d or 0)
     first = {}
     for d, t, _ in rows:
@@ -105,6 +108,13 @@ def test_line_dedup(spark):
         texts_by = sorted(hashlib.sha256((x.text or "").encode()).hexdigest() for x in kept.collect())
         assert texts_by == sorted(x[3] for x in slow_lines(rows_of(docs)))
     assert lines.keep_bitmaps(empty(spark)).count() == 0 and lines.deduplicated(empty(spark)).count() == 0
+    own = documents(spark, ["one line that is shared\nfirst"]).drop("score", "component_id")
+    twins = own.unionByName(spark.createDataFrame([(5, "one line that is shared\nx", "en", "s", 3), (5, "y\none line that is shared", "en", "s", 3), (5, "y\none line that is shared", "en", "s", 3)], own.schema))
+    assert sorted((x.doc_id, x.text) for x in lines.deduplicated(twins).collect() if x.doc_id == 5) == [(5, "x"), (5, "y"), (5, "y")]
+    clash = documents(spark).selectExpr("*", *(f"'{c}' AS `{c}`" for c in ("doc", "unknown", "sig", "row", "kept", "pos", "n", "copies", "keep_bitmap", "line_doc", "line_drops", "h1", "a b")))
+    same = lines.deduplicated(clash)
+    assert same.columns == clash.columns and same.count() == clash.count() and {(x.doc, x.sig, x.row, x["a b"]) for x in same.collect()} == {("doc", "sig", "row", "a b")}
+    assert lines.keep_bitmaps(clash).count() == clash.count()
     flags = [True, False, True]
     assert lines.apply_bitmap("a\nb\nc", lines.bitmap(flags)) == "a\nc"
 
@@ -117,7 +127,7 @@ def test_first_occurrences_over_partition_edges():
     for cuts in ([], [3], [2, 5, 9], [1, 2, 3, 4, 13, 15], [13]):
         found = []
         for a, b in zip([0, *cuts], [*cuts, len(rows)], strict=True):
-            part = [pa.RecordBatch.from_arrays([pa.array([x[i] for x in rows[s : s + 2]], pa.int64()) for i in range(4)], ["h1", "h2", "unknown", "doc"]) for s in range(a, b, 2)]
+            part = [pa.RecordBatch.from_arrays([pa.array([x[i] for x in rows[s : s + 2]], pa.int64()) for i in (0, 1, 2, 3, 3, 3)], ["h1", "h2", "unknown", "doc", "sig", "pos"]) for s in range(a, b, 2)]
             part = [p.slice(0, min(p.num_rows, b - s)) for p, s in zip(part, range(a, b, 2), strict=True)]
             found += [x for p in lines._firsts(iter(part)) for x in p.to_pylist()]
         keeper = {}
