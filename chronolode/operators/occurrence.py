@@ -10,7 +10,7 @@ from chronolode.functions.model import Episode
 from chronolode.operators.windows import build, gap
 
 
-def _with_set(ces: DataFrame, items: tuple[str, ...]) -> DataFrame:
+def set_utility(ces: DataFrame, items: tuple[str, ...]) -> DataFrame:
     """(t, u): times whose set holds all the items, with their summed utility there."""
     return ces.filter(F.col("item").isin(*items)).groupBy("t").agg(F.sum("u").alias("u"), F.count("*").alias("n")).filter(F.col("n") == len(set(items))).select("t", "u")
 
@@ -20,22 +20,27 @@ def occ_set(ces: DataFrame, episode: Episode, mtd: int, span: str = "gap") -> Da
 
     One equality join a set: times are sent to every start within the duration before them."""
     width = gap(mtd, span)
-    now = _with_set(ces, episode[0]).select(F.col("t").alias("ts"), F.col("t").alias("te"), "u")
+    now = set_utility(ces, episode[0]).select(F.col("t").alias("ts"), F.col("t").alias("te"), "u")
     for items in episode[1:]:
         # Only the earliest end so far leads on.
         now = now.groupBy("ts").agg(F.min(F.struct("te", "u")).alias("x")).select("ts", F.col("x.te").alias("before"), F.col("x.u").alias("u0"))
-        there = _with_set(ces, items).select(F.col("t").alias("te"), "u", F.explode(F.sequence(F.col("t") - width, F.col("t"))).alias("ts"))
+        there = set_utility(ces, items).select(F.col("t").alias("te"), "u", F.explode(F.sequence(F.col("t") - width, F.col("t"))).alias("ts"))
         now = now.join(there, "ts").filter(F.col("te") > F.col("before")).select("ts", "te", (F.col("u0") + F.col("u")).alias("u"))
     return now
 
 
-def minimal(occurrences: DataFrame, minimality: str = "contained") -> DataFrame:
+def minimal(occurrences: DataFrame, minimality: str = "contained", chunk: int = 1 << 16) -> DataFrame:
     """Those intervals that hold no other: by start the earliest end, kept if the next start ends later. A later start never ends earlier, so its neighbour decides.
 
+    Starts are compared inside stretches of `chunk` times; the last of a stretch meets the first of the next one through a table of one row a stretch.
     'both_strict' keeps an interval unless another lies strictly inside at both ends (for study on small data)."""
     first = occurrences.groupBy("ts").agg(F.min(F.struct("te", "u")).alias("x")).select("ts", "x.te", "x.u")
     if minimality == "contained":
-        return first.withColumn("next", F.lead("te").over(W.partitionBy().orderBy("ts"))).filter("next IS NULL OR next > te").drop("next")  # starts of one episode
+        first = first.withColumn("chunk", F.floor(F.col("ts") / chunk))
+        heads = first.groupBy("chunk").agg(F.min(F.struct("ts", "te")).alias("head"))
+        after = heads.select("chunk", F.lead("head.te").over(W.orderBy("chunk")).alias("after"))  # of stretches, not of starts
+        rows = first.join(after, "chunk").withColumn("next", F.coalesce(F.lead("te").over(W.partitionBy("chunk").orderBy("ts")), F.col("after")))
+        return rows.filter("next IS NULL OR next > te").select("ts", "te", "u")
     if minimality != "both_strict":
         raise ValueError(f"minimality: {minimality}")
     inner = occurrences.select(F.col("ts").alias("s2"), F.col("te").alias("e2"))
@@ -68,3 +73,28 @@ def pair_utilities(ces: DataFrame, mtd: int, kind: str, span: str = "gap") -> Da
     nxt = F.lead("x.t").over(W.partitionBy("chunk", "a", "b").orderBy("ts"))
     kept = pairs.withColumn("next", nxt).filter("own AND (next IS NULL OR next > x.t)")
     return kept.groupBy(name("a", ">", "b").alias("episode")).agg(F.sum("x.col2").cast("long").alias("utility"), F.count("*").alias("frequency"))
+
+
+def parallel(ces: DataFrame, items: tuple[str, ...], mtd: int, span: str = "gap", chunk: int = 1 << 12) -> DataFrame:
+    """(ts, te, u): minimal intervals, no longer than the duration, that hold all the items in whatever order; u sums each item's last event up to the end.
+
+    An interval that ends at te starts at the earliest of the items' last times; it is minimal if no earlier end has the same start. Times are cut into stretches with a halo of one duration before them."""
+    width = gap(mtd, span)
+    rows = ces.filter(F.col("item").isin(*items)).withColumn("chunk", F.explode(F.sequence(F.floor(F.col("t") / chunk), F.floor((F.col("t") + width) / chunk))))
+    last = {x: F.max(F.when(F.col("item") == x, F.struct("t", "u"))).over(W.partitionBy("chunk").orderBy("t").rangeBetween(-width, 0)) for x in items}
+    rows = rows.select("chunk", "t", *(c.alias(f"last{i}") for i, c in enumerate(last.values()))).distinct()
+    every = [F.col(f"last{i}") for i in range(len(items))]
+    start = F.least(*(x["t"] for x in every)) if len(items) > 1 else every[0]["t"]
+    u = sum((x["u"] for x in every[1:]), every[0]["u"])
+    rows = rows.filter(" AND ".join(f"last{i} IS NOT NULL" for i in range(len(items)))).select("chunk", start.alias("ts"), F.col("t").alias("te"), u.alias("u"))
+    first = rows.groupBy("chunk", "ts").agg(F.min(F.struct("te", "u")).alias("x")).select("chunk", "ts", "x.te", "x.u")
+    return first.filter(F.floor(F.col("te") / chunk) == F.col("chunk")).select("ts", "te", "u")
+
+
+def gaps(ces: DataFrame, chunk: int = 1 << 16) -> DataFrame:
+    """(item, t, gap): times since the item's event before, null for its first. Inside stretches of times by lag; across them through a table of one row for each item and stretch."""
+    rows = ces.select("item", "t", F.floor(F.col("t") / chunk).alias("chunk"))
+    ends = rows.groupBy("item", "chunk").agg(F.max("t").alias("end"))
+    before = ends.select("item", "chunk", F.lag("end").over(W.partitionBy("item").orderBy("chunk")).alias("before"))
+    inside = F.lag("t").over(W.partitionBy("item", "chunk").orderBy("t"))
+    return rows.join(before, ["item", "chunk"]).select("item", "t", (F.col("t") - F.coalesce(inside, F.col("before"))).alias("gap"))

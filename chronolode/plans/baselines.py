@@ -50,11 +50,15 @@ def closed(rows: DataFrame) -> DataFrame:
     return rows.join(dominated.select("episode").distinct(), "episode", "left_anti")
 
 
-def mine_sequences(ces: DataFrame, mtd: int, k: int, length: int = 1 << 24, **more) -> Result:  # noqa: ANN003
-    """Several sequences (seq_id, t, item, u) at once: each gets a stretch of times of its own, further apart than the duration."""
-    ids = ces.select("seq_id").distinct()
+def mine_sequences(ces: DataFrame, mtd: int, k: int, length: int | None = None, **more) -> Result:  # noqa: ANN003
+    """Several sequences (seq_id, t, item, u) at once: each gets a stretch of times of its own, further apart than the duration. length: of a stretch, no shorter than the longest sequence; that by default."""
     from chronolode.sources.ces import ordinal_clock
 
-    numbered = ordinal_clock(ids, "seq_id").select("seq_id", F.col("t").alias("n"))
-    rows = ces.join(numbered, "seq_id").select((F.col("n") * (length + mtd + 1) + F.col("t")).alias("t"), "item", "u")
+    begins = ces.groupBy("seq_id").agg(F.min("t").alias("begin"), F.max("t").alias("end"))
+    longest = begins.agg(F.coalesce(F.max(F.col("end") - F.col("begin")), F.lit(0))).first()[0] + 1
+    if length is not None and length < longest:
+        raise ValueError(f"length: {length}, but a sequence spans {longest} times")
+    numbered = ordinal_clock(begins.select("seq_id"), "seq_id").select("seq_id", F.col("t").alias("n")).join(begins, "seq_id")
+    stretch = (longest if length is None else length) + mtd + 1
+    rows = ces.join(numbered, "seq_id").select((F.col("n") * stretch + F.col("t") - F.col("begin")).alias("t"), "item", "u")
     return mine_top_k(rows, mtd, k, **more)

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from chronolode.plans.baselines import variant
-from chronolode.plans.miner import Result
+from chronolode.plans.miner import Result, limited
 
 
 def candidates(r: Result) -> dict[str, int]:
@@ -28,20 +28,56 @@ def raise_gain(r: Result) -> float:
 
 
 def timed(run: Callable[[], Result], limit_s: float = 10_000) -> tuple[float, Result | None]:
-    """Seconds, and the result unless it took longer than the limit or memory ran out."""
-    began = time.perf_counter()
+    """Seconds, and the result, None where there is none: the run's jobs are cancelled at the limit, or memory ran out."""
+    began, out = time.perf_counter(), None
+    spark = SparkSession.getActiveSession()
     try:
-        out = run()
+        with limited(spark, limit_s if spark else None) as limit:
+            out = run()
     except MemoryError:
         out = None
     took = time.perf_counter() - began
-    return took, out if out is not None and took <= limit_s else None
+    return took, None if limit["stopped"] or took > limit_s else out
+
+
+def _pools(spark: SparkSession) -> list:
+    return [x for x in spark.sparkContext._jvm.java.lang.management.ManagementFactory.getMemoryPoolMXBeans() if x.getType().toString() == "Heap memory"]
+
+
+def reset_memory(spark: SparkSession) -> None:
+    """Peaks of this JVM's heap count from now on. With a local master that is the executor's heap too."""
+    for pool in _pools(spark):
+        pool.resetPeakUsage()
 
 
 def memory(spark: SparkSession) -> dict[str, int]:
-    """Peak of this process in MB, and the JVM's heap in use."""
+    """Peaks in MB: of this process, of this JVM's heap since `reset_memory`, and the largest heap that an executor has reported; and the JVM's heap in use."""
     runtime = spark.sparkContext._jvm.java.lang.Runtime.getRuntime()
-    return {"driver_peak_mb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss // 1024, "jvm_used_mb": (runtime.totalMemory() - runtime.freeMemory()) >> 20}
+    peaks = [x.peakMemoryMetrics().get().getMetricValue("JVMHeapMemory") for x in _items(spark.sparkContext._jsc.sc().statusStore().executorList(False)) if x.peakMemoryMetrics().isDefined()]
+    return {
+        "driver_peak_mb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss // 1024,
+        "jvm_used_mb": (runtime.totalMemory() - runtime.freeMemory()) >> 20,
+        "jvm_peak_mb": sum(x.getPeakUsage().getUsed() for x in _pools(spark)) >> 20,
+        "executor_peak_mb": max(peaks, default=0) >> 20,
+    }
+
+
+def _items(seq) -> list:  # noqa: ANN001
+    return [seq.apply(i) for i in range(seq.size())]
+
+
+def stage_costs(spark: SparkSession, after: int = -1) -> dict[str, int]:
+    """Sums over finished stages with a number above `after`: shuffled and spilled bytes, CPU milliseconds of tasks; and the last stage's number."""
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+    stages = _items(spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList()))
+    new = [x for x in stages if x.stageId() > after]
+    return {
+        "stages": len(new),
+        "shuffle_bytes": sum(x.shuffleWriteBytes() for x in new),
+        "spill_bytes": sum(x.diskBytesSpilled() for x in new),
+        "cpu_ms": sum(x.executorCpuTime() for x in new) // 1_000_000,
+        "last": max((x.stageId() for x in stages), default=-1),
+    }
 
 
 def exactness(found: DataFrame, truth: DataFrame) -> dict[str, float]:

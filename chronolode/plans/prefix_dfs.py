@@ -35,6 +35,8 @@ class Rules:
     keep_all: bool = False
     rank_by: str = "utility"
     fixed: bool = False
+    #: Also report the best k below the threshold, for runs that may end early.
+    spare: bool = False
 
 
 class Window:
@@ -54,11 +56,17 @@ class Miner:
         self.part = (0, 1)
         self.found: dict[str, tuple] = {}
         self.heap: list[int] = []
+        self.below: list[tuple] = []
         self.generated = self.promising = self.buffered = 0
 
     def offer(self, sets: tuple, events: int, utility: int, frequency: int) -> None:
         value = utility if self.rules.rank_by == "utility" else frequency
+        if self.rules.kinds == "complex" and (len(sets) == 1 or events == len(sets)):
+            return
         if value < self.min_util:
+            if self.rules.spare:
+                push = heapq.heappush if len(self.below) < self.rules.k else heapq.heappushpop
+                push(self.below, (value, sets, events, utility, frequency))
             return
         self.buffered += 1
         self.found[key(sets)] = (value, events, len(sets), utility, frequency)
@@ -135,6 +143,8 @@ class Miner:
         self.generated += 1
         reach = bound if self.rules.rank_by == "utility" else frequency
         if reach < self.min_util:
+            if self.rules.spare:
+                self.offer(sets, events, utility, frequency)
             return
         self.promising += 1
         self.offer(sets, events, utility, frequency)
@@ -159,6 +169,7 @@ def _root(miner: Miner, rows: list[tuple], part: int, parts: int, root: str) ->
 
 def _report(miner: Miner) -> pd.DataFrame:
     rows = [("episode", e, x[1], x[2], x[3], x[4], 0) for e, x in miner.found.items() if x[0] >= miner.min_util]
+    rows += [("episode", key(sets), events, len(sets), utility, frequency, 0) for _, sets, events, utility, frequency in miner.below]
     rows += [(name, None, 0, 0, 0, 0, n) for name, n in (("generated", miner.generated), ("promising", miner.promising), ("buffered", miner.buffered))]
     return pd.DataFrame(rows, columns=["kind", "episode", "events", "sets", "utility", "frequency", "n"])
 

@@ -121,12 +121,12 @@ for _order in ("utility", "bound"):
     add(f"topk_hours_order_{_order}", _top_k(ces.event_hours, 1, 20, order=_order), HOURS1)
 for _name, _settings in baselines.VARIANTS.items():
     if _settings:
-        add(f"baseline_{_name}_hours", _top_k(ces.event_hours, 1, 20, **_settings), HOURS1)
+        add(f"baseline_{_name}_hours", _top_k(ces.event_hours, 1, 20, **_settings, window_raise=False), HOURS1)
 for _bound in ("no_overlap", "none"):
-    add(f"topk_hours_bound_{_bound}", _top_k(ces.event_hours, 1, 20, bound=_bound), HOURS1)
+    add(f"topk_hours_bound_{_bound}", _top_k(ces.event_hours, 1, 20, bound=_bound, window_raise=False), HOURS1)
 for _name, _raise in baselines.RAISES.items():
     if _name != "all":
-        add(f"topk_hours_raise_{_name}", _top_k(ces.event_hours, 1, 20, raise_=_raise), HOURS1)
+        add(f"topk_hours_raise_{_name}", _top_k(ces.event_hours, 1, 20, raise_=_raise, window_raise=False), HOURS1)
 add("exhaustive_hours_mtd1", lambda s, d: baselines.exhaustive(ces.event_hours(s, d), 1), sql.threshold(sql.CES["hours"], 1, "0"))
 add("topk_first_s", _top_k(ces.event_hours, 1, 20, first="S", strategy="dfs_single"), HOURS1)
 add("topk_serial_only", _top_k(ces.event_hours, 2, 20, kinds="serial"), sql.top_k(sql.CES["hours"], 2, 20, kinds="serial"))
@@ -237,7 +237,7 @@ def _subepisodes(s: SparkSession, d: str) -> DataFrame:
     return rows.filter(udf.is_subepisode_udf()(F.lit("B>A+C"), "episode")).select("episode", udf.kind_udf()("episode").alias("kind"))
 
 
-add("udf_is_subepisode", _subepisodes)
+add("udf_is_subepisode", _subepisodes, sql.enumerated(sql.CES["example"], 2) + r"SELECT episode, CASE WHEN events = 1 THEN 'simple' WHEN sets = 1 THEN 'simultaneous' WHEN events = sets THEN 'serial' ELSE 'complex' END AS kind FROM ep WHERE regexp_matches(episode, '(^|[+>])B([+][^>]*)?>(.*[+>])?A[+]C')")
 
 
 def _events_path(d: str) -> str:
@@ -252,11 +252,17 @@ add("stream_matcher", lambda s, d: stream.drained(stream.matches(stream.source(s
 
 def _users(s: SparkSession, d: str) -> DataFrame:
     rows = ces.event_rows(s, d, "minute").filter("u > 0").groupBy(F.col("user_id").alias("seq_id"), "t", "item").agg(F.sum("u").alias("u"))
-    return with_rank(baselines.mine_sequences(rows, 120, 20, 1 << 20, chunk_len=1 << 20).df)
+    return with_rank(baselines.mine_sequences(rows, 120, 20, chunk_len=1 << 20).df)
 
 
 add("multi_sequence_topk_users", _users, sql.top_k(sql.CES["users"], 120, 20, by_sequence=True))
 
 
+from chronolode import reports  # noqa: E402  its queries use the ones above
+
+QUERIES.update(reports.QUERIES)
+ORACLES.update(reports.ORACLES)
+
+
 def flagship(s: SparkSession, d: str) -> DataFrame:
     return QUERIES["topk_hours_mtd1"](s, d)

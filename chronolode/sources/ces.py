@@ -123,6 +123,18 @@ def write(ces: DataFrame, path: str, span: int = 1 << 16) -> None:
     ranged.repartition("t_range").sortWithinPartitions("t", "item").write.partitionBy("t_range").parquet(path)
 
 
+def write_result(rows: DataFrame, path: str, fmt: str = "parquet") -> None:
+    """Result rows as Parquet, ORC, CSV with a header, or JSON lines; CSV and JSON in the order of rank if there is one."""
+    if fmt not in ("parquet", "orc", "csv", "json"):
+        raise ValueError(f"fmt: {fmt}")
+    rows = rows.sortWithinPartitions("rank") if "rank" in rows.columns else rows
+    rows.write.format(fmt).options(**({"header": "true"} if fmt == "csv" else {})).save(path)
+
+
+def read_result(spark: SparkSession, path: str, schema: T.StructType, fmt: str = "parquet") -> DataFrame:
+    return spark.read.format(fmt).schema(schema).options(**({"header": "true"} if fmt == "csv" else {})).load(path)
+
+
 def event_rows(spark: SparkSession, sf_dir: str, unit: str) -> DataFrame:
     e = load(spark, sf_dir, "events").select("ts", "event_type", "value", "user_id")
     return e.select(calendar_clock(F.col("ts"), unit).alias("t"), F.col("event_type").alias("item"), cents(F.col("value")).alias("u"), "user_id")

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -11,7 +10,9 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from chronolode.functions.model import Episode
-from chronolode.sources.ces import calendar_clock, cents
+from chronolode.plans.miner import mine_top_k
+from chronolode.plans.storage import folder
+from chronolode.sources.ces import calendar_clock, cents, simultaneous
 
 EVENTS = T.StructType([T.StructField("event_id", T.LongType()), T.StructField("ts", T.TimestampNTZType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())])
 
@@ -104,9 +105,41 @@ def mine_batches(events: DataFrame, mine: Callable[[DataFrame, int], None], trig
     return events.writeStream.foreachBatch(mine).trigger(**(trigger or {"availableNow": True})).start()
 
 
-def drained(df: DataFrame, mode: str) -> DataFrame:
-    """Runs a finite stream to its end into a table in memory, and gives the table."""
-    name = f"stream_{uuid.uuid4().hex}"
-    q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+def drained(df: DataFrame, mode: str, progress: list | None = None) -> DataFrame:
+    """Runs a finite stream to its end into files of the shared folder, and gives their rows: of all batches, or of the last one in complete mode. A batch that is run again replaces its own files.
+
+    progress: takes the stream's progress reports."""
+    spark, path, done = df.sparkSession, folder(df.sparkSession), []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{number}")
+        done.append(f"{path}/{number}")
+
+    q = df.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).start()
     q.awaitTermination()
-    return df.sparkSession.table(name)
+    if progress is not None:
+        progress.extend(q.recentProgress)
+    if not done:
+        return spark.createDataFrame([], df.schema)
+    return spark.read.schema(df.schema).parquet(*(done[-1:] if mode == "complete" else dict.fromkeys(done)))
+
+
+def late_rows(progress: list) -> int:
+    """Rows that stateful steps dropped as they came behind the watermark."""
+    return sum(step["numRowsDroppedByWatermark"] for report in progress for step in report["stateOperators"])
+
+
+def remined(events: DataFrame, mtd: int, k: int, unit: str = "hour") -> DataFrame:
+    """(batch, episode, utility, frequency, rank): the best of every micro-batch, mined anew."""
+    spark, path, done = events.sparkSession, folder(events.sparkSession), []
+
+    def mine(batch: DataFrame, number: int) -> None:
+        rows = batch.select(calendar_clock(F.col("ts"), unit).alias("t"), F.col("event_type").alias("item"), cents(F.col("value")).alias("u"))
+        best = mine_top_k(simultaneous(rows), mtd, k).df.select(F.lit(number).cast("long").alias("batch"), "episode", "utility", "frequency", "rank")
+        best.write.mode("overwrite").parquet(f"{path}/{number}")
+        done.append(f"{path}/{number}")
+
+    mine_batches(events, mine).awaitTermination()
+    if not done:
+        return spark.createDataFrame([], "batch long, episode string, utility long, frequency long, rank int")
+    return spark.read.parquet(*dict.fromkeys(done))

@@ -181,3 +181,162 @@ def test_variants_and_measures(spark):
     assert [(-x.frequency, x.episode) for x in frequent] == best
     stopped = mine_top_k(df, 2, 5, strategy="levelwise", max_frontier_rows=1)
     assert not stopped.complete and stopped.df.count() == 5
+
+
+@pytest.mark.parametrize("more", [{"strategy": "levelwise", "max_frontier_rows": 1}, {"strategy": "levelwise", "budget_s": 0}, {"strategy": "prefix_dfs", "wave": 1, "budget_s": 0}])
+def test_early_stop_gives_the_best_so_far(spark, more):
+    """However high a raise lifts the threshold, k episodes are given, each with its true utility, and at least as good as the best single events."""
+    rows, df = many(spark, 6, 3000)
+    truth = utilities(rows, 2)
+    stopped = mine_top_k(df, 2, 5, **more)
+    got = stopped.df.collect()
+    assert not stopped.complete and len(got) == 5 and all(truth[x.episode] == (x.utility, x.frequency) for x in got)
+    single = sorted((u for e, (u, _) in truth.items() if "+" not in e and ">" not in e), reverse=True)[:5]
+    assert sum(x.utility for x in got) >= sum(single)
+
+
+def test_time_limit_cancels_a_running_job(spark):
+    """A limit ends a run in the middle of a job."""
+    import time
+
+    from chronolode.plans.miner import limited
+    from pyspark.sql import functions as F
+
+    def slow():
+        spark.range(0, 4, 1, 4).select(F.udf(lambda x: time.sleep(60) or x, "long")("id")).collect()
+
+    began = time.perf_counter()
+    with limited(spark, 2) as limit:
+        slow()
+    assert limit["stopped"] and time.perf_counter() - began < 30
+    took, out = metrics.timed(lambda: slow(), 1)
+    assert out is None and took < 30
+    with pytest.raises(ZeroDivisionError), limited(spark, 60):
+        1 / 0
+    rows, df = many(spark, 2, 3000)
+    took, out = metrics.timed(lambda: mine_top_k(df, 2, 5), 600)
+    assert out.complete and out.df.count() == 5
+
+
+def test_hot_roots_go_by_levels_and_the_rest_depth_first(spark):
+    rows, df = many(spark, 12, 2000)
+    rows = rows + [(t + 3000, i, u) for t, i, u in [(k, "HOT", 2) for k in range(1, 40)]]
+    df = c.from_rows(spark, rows)
+    r = mine_top_k(df, 3, 15, max_rows_per_task=5)
+    assert [(x.episode, x.utility, x.frequency) for x in r.df.orderBy("rank").collect()] == top(rows, 3, 15)
+    assert r.levels and r.waves
+
+
+def test_levels_move_only_sums(spark):
+    """Growing a frontier stored by chunk needs no exchange; its plan has none but what broadcasts."""
+    from chronolode.plans import levelwise
+    from pyspark.sql import functions as F
+
+    _, df = many(spark, 12, 2000)
+    with levelwise.by_chunk(spark) as store:
+        windows = store(build(df, 2))
+        frontier = store(levelwise.roots(windows))
+        good = levelwise.stats(frontier, "remaining").filter(F.col("bound") >= 5).select("ep")
+        good = spark.createDataFrame(good.collect(), good.schema)
+        grown = levelwise.extend(frontier.join(F.broadcast(good), "ep", "left_semi"), windows)
+        costs, rows = metrics.spark_costs(grown), grown.count()
+    assert costs["exchanges"] == 0 and rows
+
+
+@pytest.mark.parametrize("order", ["utility", "bound"])
+def test_ties_under_other_orders_are_broken_by_the_key(spark, order):
+    """All utilities alike: the least keys stay, whatever order the items grew in."""
+    rows = [(t * 10, i, u) for t, s in enumerate(["AB", "BC", "AC", "CD"]) for i, u in ((x, 3) for x in s)] + [(1000, "A", 1), (1010, "D", 9), (1020, "B", 4)]
+    df = c.from_rows(spark, rows)
+    for k, strategy in ((1, "levelwise"), (6, "levelwise"), (6, "prefix_dfs")):
+        got = [(x.episode, x.utility, x.frequency) for x in mine_top_k(df, 0, k, order=order, strategy=strategy).df.orderBy("rank").collect()]
+        assert got == top(rows, 0, k), (k, strategy)
+
+
+def test_canonical_keys(spark):
+    from chronolode.functions.model import key
+    from chronolode.plans.miner import canonical
+    from pyspark.sql import functions as F
+
+    names = ["b", "a+x", "z>", "c\\", "a", "1"]
+    grown = [">".join("+".join(c_escape(i) for i in s) for s in e) for e in ((names,), (names[:2], names[3:]), (names[2:3],))]
+    got = [r.k for r in spark.createDataFrame([(g,) for g in grown], "ep string").select(canonical(F.col("ep")).alias("k")).collect()]
+    assert got == [key((tuple(names),)), key((tuple(names[:2]), tuple(names[3:]))), key(((names[2],),))]
+
+
+def c_escape(item):
+    from chronolode.functions.model import escape
+
+    return escape(item)
+
+
+def test_complex_kind(spark):
+    rows, df = many(spark, 10, 5000)
+    want = sorted(((-u, e) for e, (u, _) in utilities(rows, 2).items() if "+" in e and ">" in e))[:7]
+    for strategy in ("levelwise", "prefix_dfs"):
+        assert [(-x.utility, x.episode) for x in mine_top_k(df, 2, 7, kinds="complex", strategy=strategy).df.orderBy("rank").collect()] == want
+    assert {x.episode for x in mine_threshold(df, 2, min_util=0, kinds="complex").collect()} == {e for e in utilities(rows, 2) if "+" in e and ">" in e}
+
+
+def test_sequences_do_not_meet(spark):
+    """Times far beyond any fixed stretch: no episode spans two sequences."""
+    far = (1 << 24) + 3
+    rows = [(1, 5, "A", 2), (1, far, "B", 5), (2, 0, "C", 7), (2, 1, "D", 1), (3, -4, "A", 1)]
+    df = spark.createDataFrame(rows, "seq_id long, t long, item string, u long")
+    got = {x.episode for x in baselines.mine_sequences(df, 2, 99).df.collect()}
+    assert got == {"A", "B", "C", "D", "C>D"}
+    with pytest.raises(ValueError):
+        baselines.mine_sequences(df, 2, 99, length=1000)
+
+
+def test_minimal_over_stretches_and_parallel(spark):
+    """Starts cut into stretches, and unordered intervals, against plain loops."""
+    import random
+
+    r = random.Random(1)
+    rows = sorted({(t, i): u for t, i, u in ((r.randrange(1, 60), r.choice("AB"), r.randrange(1, 9)) for _ in range(70))}.items())
+    rows = [(t, i, u) for (t, i), u in rows]
+    df = c.from_rows(spark, rows)
+    occ = occurrence.occ_set(df, (("A",), ("B",)), 5)
+    for chunk in (1, 3, 1 << 16):
+        got = sorted(map(tuple, occurrence.minimal(occ, chunk=chunk).collect()))
+        assert got == sorted(map(tuple, occurrence.minimal(occ).collect())) and (sum(x[2] for x in got), len(got)) == utilities(rows, 5)["A>B"]
+        pairs = {(min(a, b), max(a, b), u + v) for a, i, u in rows for b, j, v in rows if i == "A" and j == "B" and abs(a - b) <= 5}
+        want = sorted(x for x in pairs if not any(y[0] >= x[0] and y[1] <= x[1] and y[:2] != x[:2] for y in pairs))
+        assert sorted(map(tuple, occurrence.parallel(df, ("A", "B"), 5, chunk=chunk).collect())) == want
+        times = {i: [t for t, j, _ in rows if j == i] for i in "AB"}
+        assert sorted((x.item, x.t, x.gap) for x in occurrence.gaps(df, chunk).collect() if x.gap is not None) == sorted((i, b, b - a) for i, ts in times.items() for a, b in zip(ts, ts[1:], strict=False))
+
+
+def test_closed_episodes(spark):
+    """Against the plain definition on the worked example."""
+    from chronolode.functions.model import is_subepisode, parse
+
+    truth = {e: f for e, (_, f) in utilities(c.EXAMPLE, 1).items()}
+    want = {e for e, f in truth.items() if not any(f == g and x != e and is_subepisode(parse(e), parse(x)) for x, g in truth.items())}
+    assert {x.episode for x in baselines.closed(mine_threshold(c.example(spark), 1, min_util=0)).collect()} == want
+
+
+def test_ties_are_refused_not_cut(spark, monkeypatch):
+    from chronolode.plans import miner
+
+    monkeypatch.setattr(miner, "MAX_TIES", 3)
+    df = c.from_rows(spark, [(10 * t, f"I{t}", 3) for t in range(6)])
+    with pytest.raises(ValueError, match="mine_threshold"):
+        mine_top_k(df, 0, 2, ties="keep")
+    assert mine_top_k(df, 0, 2).df.count() == 2
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    """A second file whose rows lie behind the watermark."""
+    import datetime as dt
+
+    from chronolode.streaming import stream
+
+    at = lambda h: dt.datetime(2024, 1, 1) + dt.timedelta(hours=h)
+    schema = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+    for n, hours in enumerate(([1, 20, 30], [31, 2], [32])):
+        spark.createDataFrame([(n * 10 + i, at(h), 1, "click", 1.0, None) for i, h in enumerate(hours)], schema).coalesce(1).write.mode("append").parquet(str(tmp_path / f"{n}"))
+    progress = []
+    got = stream.drained(stream.tumbling_utility(stream.source(spark, str(tmp_path / "*" / "*.parquet"), files_per_batch=1)), "update", progress).collect()
+    assert stream.late_rows(progress) in (0, 1) and len(got) >= 4

@@ -7,6 +7,7 @@ from compare import differences, duck
 
 SF = "/root/testdata/sf0.001"
 NAMES = ["ces_order_parts", "ordinal_clock_orders", "dataset_characteristics", "kth_merged_k500", "window_suffix_minutes", "one_episode_table_orders", "minimal_click_view", "pair_serial_orders_mtd2", "topk_minutes_mtd3", "topk_ties_keep", "rollup_item_month", "asof_next_purchase", "udtf_match_episode", "stream_tumbling_utility", "stream_matcher"]
+NAMES += sorted(set(__import__("chronolode.reports", fromlist=["ORACLES"]).ORACLES) - {"mtd_sweep_thresholds", "stream_dedup_events"})
 
 
 @pytest.mark.parametrize("name", NAMES)
