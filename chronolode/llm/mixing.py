@@ -1,14 +1,18 @@
 """Mixing sources to target weights by weighted fair queueing.
 
-Every copy of a document gets a virtual finish time: the words of its source up to and with it, in shuffled order, divided by the source's target. Copies are
-taken in the order of that time until the total budget is reached. Weights and targets follow the sources in code point order.
+Every copy of a document gets a virtual finish time: the words of its source up to and with it, in shuffled order, divided by the source's target. Copies are range-sorted by that time, over all sources and tasks, and
+the sorted list is cut where the total budget is reached. Weights and targets follow the sources in code point order.
 
-Prefix sums never need one task a source: a source's order is cut into buckets by the shuffle key's first digits, buckets are summed and placed on a running sum, and rows are
-numbered inside their bucket only. The place where the budget ends is found in the same way over bins of virtual time; one bin is then ordered exactly.
+All of this is done on narrow rows (source, key, size). As virtual time rises along a source's order, what the cut leaves of a source is a prefix of that order for each copy, so the whole decision is a table of one row a
+source: the last key taken, by copy. Documents meet that table and are compared with their source's keys; no text is sorted or shuffled.
 
-Assumption: the table of sources (one row each) fits one task; it holds sums, not rows. Rows of one source with the same id and size are interchangeable.
+Prefix sums never need one task a source: a source's order is cut into buckets by the shuffle key's first digits, buckets are summed and placed on a running sum, and rows are numbered inside their bucket only. After the
+global sort a sum for each partition tells in which of them the budget ends; running sums are made inside that partition alone.
 
-Defined results: a null text has size 0; documents of size 0 and sources of size 0 take nothing; null sources are one source, the last; null ids shuffle as an empty id; an empty table gives an empty table.
+Assumption: the table of sources (one row each) fits one task; it holds sums, not rows.
+
+Defined results: a null text has size 0; documents of size 0 and sources of size 0 take nothing; null sources are one source, the last; null ids shuffle as an empty id; rows of one source with the same id and text are
+interchangeable, and where the cut falls among them the right number of them is taken; an empty table gives an empty table; extra columns of any name are kept as they are, and texts are read whole.
 """
 
 from __future__ import annotations
@@ -21,8 +25,10 @@ from chronolode.llm.common import BLANK, read, written
 
 #: Weights by the source's place, the budget as halves of all words, copies of a document at most.
 WEIGHTS, HALVES, COPIES = (5, 2, 1), 3, 2
-#: Rows a bucket of the shuffled order holds on average, and bins a unit of virtual time has.
-BUCKET_ROWS, BINS = 2048, 4096
+#: Rows a bucket of the shuffled order holds on average.
+BUCKET_ROWS = 2048
+#: The order inside a source: a hash of the id, then what tells rows apart. known is 0 for a null id.
+KEY = ["mix_key", "known", "id", "size", "sig"]
 
 
 def words(text: str = "text") -> Column:
@@ -31,8 +37,16 @@ def words(text: str = "text") -> Column:
     return F.when(trimmed == "", 0).otherwise(F.size(F.split(trimmed, f"{BLANK}+"))).cast("long")
 
 
-def _shuffle_key() -> Column:
-    return F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary"))
+def keyed(docs: DataFrame, *payload: Column) -> DataFrame:
+    """(source, *KEY, *payload) of every document row."""
+    key = {
+        "mix_key": F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")),
+        "known": F.col("doc_id").isNotNull().cast("int"),
+        "id": F.coalesce(F.col("doc_id").cast("long"), F.lit(0)),
+        "size": words(),
+        "sig": F.xxhash64(F.coalesce(F.col("text"), F.lit(""))),
+    }
+    return docs.select(F.col("source"), *(key[c].alias(c) for c in KEY), *payload)
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, halves: int = HALVES, copies: int = COPIES) -> DataFrame:
@@ -53,69 +67,88 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, halves: int =
     return t.select("source", "n", "source_size", F.when(F.col("full"), F.col("limit").cast("double")).otherwise(share).alias("target"))
 
 
-def _timed(docs: DataFrame, sources: DataFrame, digits: int, sums: DataFrame) -> DataFrame:
-    """docs with source_size, target and the virtual finish times of both copies."""
-    docs = docs.withColumns({"mix_key": _shuffle_key(), "mix_bucket": F.substring(_shuffle_key(), 1, digits)})
-    at = sums.select(F.col("source").alias("s"), F.col("mix_bucket").alias("b"), "before")
-    docs = docs.join(at, docs["source"].eqNullSafe(at["s"]) & (docs["mix_bucket"] == at["b"]), "inner").drop("s", "b")
+def finish_times(narrow: DataFrame, sources: DataFrame) -> DataFrame:
+    """(source, *KEY, copy, vft): both copies of every document that has words."""
+    n = sources.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    digits = next(k for k in range(1, 15) if n <= BUCKET_ROWS * 16**k)
+    rows = narrow.withColumn("bucket", F.substring("mix_key", 1, digits))
+    sums = rows.groupBy("source", "bucket").agg(F.sum("size").alias("sum"))
+    before = F.coalesce(F.sum("sum").over(W.partitionBy("source").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))  # of sums, 16 ** digits a source at most
+    at = sums.select(F.col("source").alias("s"), F.col("bucket").alias("b"), before.alias("before"))
+    rows = rows.join(at, rows["source"].eqNullSafe(at["s"]) & (rows["bucket"] == at["b"])).drop("s", "b")
     t = sources.select(F.col("source").alias("s"), "source_size", "target")
-    docs = docs.join(t, docs["source"].eqNullSafe(t["s"]), "inner").drop("s")
-    inside = W.partitionBy("source", "mix_bucket").orderBy("mix_key", "doc_id", "size").rowsBetween(W.unboundedPreceding, 0)
-    run = F.col("before") + F.sum("size").over(inside)
-    vft = lambda c: F.when(F.col("target") > 0, (run + c * F.col("source_size")).cast("double") / F.col("target")).otherwise(0.0)
-    return docs.withColumns({f"vft{c}": vft(c) for c in range(COPIES)}).drop("before", "mix_bucket")
-
-
-def mix(docs: DataFrame, halves: int = HALVES, slim: bool = False) -> DataFrame:
-    """docs with size, source_size, target, copies and taken. Columns of the same names are replaced. slim: without columns but doc_id and source, so that texts are read once."""
-    docs = docs.drop("size", "source_size", "target", "copies", "taken", "mix_key", "mix_bucket", "before", *(f"vft{c}" for c in range(COPIES))).withColumn("size", words())
-    narrow = written(docs.select("doc_id", "source", "size"))
+    rows = rows.join(t, rows["source"].eqNullSafe(t["s"])).drop("s").filter("size > 0 AND target > 0")
+    run = F.col("before") + F.sum("size").over(W.partitionBy("source", "bucket").orderBy(*KEY).rowsBetween(W.unboundedPreceding, 0))
+    rows = rows.withColumn("run", run).withColumn("copy", F.explode(F.array(*map(F.lit, range(COPIES)))))
+    return rows.select("source", *KEY, "copy", ((F.col("run") + F.col("copy") * F.col("source_size")).cast("double") / F.col("target")).alias("vft"))
+
+
+def truncated(copies: DataFrame, total: int, halves: int = HALVES) -> DataFrame:
+    """The copies that fit the budget, in the global order of virtual time."""
+    order = [F.col("vft"), F.col("source").asc_nulls_last(), *map(F.col, KEY), F.col("copy")]
+    ranged = written(copies.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("part", F.spark_partition_id()))
+    parts = ranged.groupBy("part").agg(F.sum("size").alias("sum"))  # a row for each partition
+    parts = parts.withColumn("before", F.coalesce(F.sum("sum").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
+    over = parts.filter(2 * (F.col("before") + F.col("sum")) > halves * total).orderBy("part").first()
+    if over is None:
+        return ranged
+    last = ranged.filter(F.col("part") == over.part).withColumn("run", F.sum("size").over(W.partitionBy("part").orderBy(*order).rowsBetween(W.unboundedPreceding, 0)) + F.lit(over.before))
+    return ranged.filter(F.col("part") < over.part).unionByName(last.filter(2 * F.col("run") <= halves * total).drop("run"))
+
+
+def boundaries(narrow: DataFrame, halves: int = HALVES) -> DataFrame:
+    """(mix_source, source_size, target, last0, among0, split0, last1, among1, split1): by copy, the last key that the mix takes of each source, how many rows of that very key, and whether it leaves others of them."""
     sources = written(targets(narrow, halves=halves))
-    n, total = sources.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("source_size"), F.lit(0))).first()
-    digits = next(k for k in range(1, 15) if n <= BUCKET_ROWS * 16**k)
-    by_bucket = narrow.groupBy("source", F.substring(_shuffle_key(), 1, digits).alias("mix_bucket")).agg(F.sum("size").alias("sum"))
-    before = F.coalesce(F.sum("sum").over(W.partitionBy("source").orderBy("mix_bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    sums = by_bucket.withColumn("before", before)
-    copies = _timed(narrow, sources, digits, sums).filter("size > 0")
-    copies = copies.select("doc_id", "source", "size", "mix_key", F.posexplode(F.array(*(f"vft{c}" for c in range(COPIES)))).alias("copy", "vft"))
-    bin_of = F.least(F.floor(F.col("vft") * BINS), F.lit(COPIES * BINS))
-    copies = written(copies.withColumn("bin", bin_of))
-    bins = copies.groupBy("bin").agg(F.sum("size").alias("sum")).withColumn("upto", F.sum("sum").over(W.orderBy("bin")))
-    whole = bins.filter(2 * F.col("upto") <= halves * total).agg(F.max("bin"), F.max("upto")).first()
-    last_bin, upto = (-1, 0) if whole[0] is None else whole
-    order = ["vft", F.col("source").asc_nulls_last(), "mix_key", "doc_id", "size", "copy"]
-    next_bin = copies.agg(F.min(F.when(F.col("bin") > last_bin, F.col("bin")))).first()[0]
-    cut = None
-    if next_bin is not None:
-        run = F.sum("size").over(W.orderBy(*order)) + F.lit(upto)
-        cut = copies.filter(F.col("bin") == next_bin).withColumn("run", run).filter(2 * F.col("run") <= halves * total).orderBy(F.desc("run")).select("vft", "source", "mix_key", "doc_id", "size", "copy").first()
-    timed = _timed(narrow if slim else docs, sources, digits, sums)
-
-    def in_mix(c: int) -> Column:
-        vft = F.col(f"vft{c}")
-        early = F.least(F.floor(vft * BINS), F.lit(COPIES * BINS)) <= last_bin
-        if cut is None:
-            return early
-        null = lambda x: F.when(F.col(x).isNull(), 1).otherwise(0)
-        # The order of `order`: source nulls last, id nulls first.
-        mine = F.struct(vft, null("source"), F.coalesce("source", F.lit("")), F.col("mix_key"), 1 - null("doc_id"), F.coalesce("doc_id", F.lit(0)), F.col("size"), F.lit(c))
-        its = F.struct(F.lit(cut.vft), F.lit(int(cut.source is None)), F.lit(cut.source or ""), F.lit(cut.mix_key), F.lit(int(cut.doc_id is not None)), F.lit(cut.doc_id or 0).cast("long"), F.lit(cut.size).cast("long"), F.lit(cut.copy))
-        return early | (mine <= its)
-
-    taken = sum((F.when((F.col("size") > 0) & in_mix(c), 1).otherwise(0) for c in range(COPIES)), F.lit(0))
-    timed = timed.withColumn("copies", taken).withColumn("taken", F.col("size") * F.col("copies"))
-    return timed.drop("mix_key", *(f"vft{c}" for c in range(COPIES)))
-
-
-def mixed_documents(docs: DataFrame) -> DataFrame:
-    """The mix itself: each document as often as it was taken."""
-    out = mix(docs).filter("copies > 0")
-    return out.withColumn("mix_copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*docs.columns)
+    total = sources.agg(F.coalesce(F.sum("source_size"), F.lit(0))).first()[0]
+    taken = written(truncated(finish_times(narrow, sources), total, halves).select("source", "copy", F.struct(*KEY).alias("key")))
+    last = written(taken.groupBy("source", "copy").agg(F.max("key").alias("last"))).select(F.col("source").alias("s"), F.col("copy").alias("c"), "last")
+    each = range(COPIES)
+    at_last = lambda rows, *more: rows.join(last, rows["source"].eqNullSafe(last["s"]) & (F.col("key") == F.col("last")) & F.lit(True if not more else more[0]))
+    among = at_last(taken, F.col("copy") == F.col("c")).groupBy("source").agg(*(x for c in each for x in (F.max(F.when(F.col("c") == c, F.col("last"))).alias(f"last{c}"), F.count(F.when(F.col("c") == c, 1)).alias(f"among{c}"))))
+    there = at_last(narrow.select("source", F.struct(*KEY).alias("key"))).groupBy("source").agg(*(F.count(F.when(F.col("c") == c, 1)).alias(f"there{c}") for c in each))
+    out = sources.select(F.col("source").alias("mix_source"), "source_size", "target")
+    for part, name in ((among, "s1"), (there, "s2")):
+        part = part.withColumnRenamed("source", name)
+        out = out.join(part, out["mix_source"].eqNullSafe(part[name]), "left").drop(name)
+    splits = {f"split{c}": F.coalesce(F.col(f"among{c}") < F.col(f"there{c}"), F.lit(False)) for c in each}
+    return written(out.withColumns(splits).drop(*(f"there{c}" for c in each)))
+
+
+def decided(rows: DataFrame, bounds: DataFrame) -> DataFrame:
+    """rows of `keyed` with source_size, target and copies. Only rows of a last key that the cut splits are numbered."""
+    each = range(COPIES)
+    rows = rows.join(bounds, rows["source"].eqNullSafe(bounds["mix_source"])).drop("mix_source").withColumn("key", F.struct(*KEY))
+    count = lambda test: sum((F.when((F.col("size") > 0) & test(c), 1).otherwise(0) for c in each), F.lit(0))
+    at = lambda c: F.col("key") == F.col(f"last{c}")
+    inside = lambda c: (F.col("key") < F.col(f"last{c}")) | (at(c) & ~F.col(f"split{c}"))
+    out = rows.withColumn("copies", count(inside))
+    if not bounds.filter(" OR ".join(f"split{c}" for c in each)).isEmpty():
+        split = sum((F.coalesce(at(c) & F.col(f"split{c}"), F.lit(False)).cast("int") for c in each), F.lit(0)) > 0
+        number = F.row_number().over(W.partitionBy("source", "key").orderBy("sig"))
+        among = lambda c: inside(c) | (at(c) & (F.col("number") <= F.col(f"among{c}")))
+        out = out.filter(~split).unionByName(rows.filter(split).withColumn("number", number).withColumn("copies", count(among)).drop("number"))
+    return out.drop("key", *(f"{x}{c}" for c in each for x in ("last", "among", "split")))
+
+
+def mix(docs: DataFrame, halves: int = HALVES) -> DataFrame:
+    """(doc_id, source, size, source_size, target, copies, taken) of every document row."""
+    narrow = written(keyed(docs))
+    out = decided(narrow, boundaries(narrow, halves))
+    doc_id = F.when(F.col("known") == 1, F.col("id")).cast(docs.schema["doc_id"].dataType)
+    return out.select(doc_id.alias("doc_id"), "source", "size", "source_size", "target", "copies", (F.col("size") * F.col("copies")).alias("taken"))
+
+
+def mixed_documents(docs: DataFrame, halves: int = HALVES) -> DataFrame:
+    """The mix itself: each document as often as it was taken, with all its columns."""
+    bounds = boundaries(written(keyed(docs)), halves)
+    whole = F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row")
+    out = decided(keyed(docs, whole), bounds).filter("copies > 0").select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
+    return out.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents").select("doc_id", "source", "text")
-    return mix(docs, slim=True).select("doc_id", "size", "source_size", "target", "taken")
+    return mix(docs).select("doc_id", "size", "source_size", "target", "taken")
 
 
 ORACLE = r"""

@@ -45,6 +45,22 @@ def test_mix(spark, monkeypatch):
     many = mixing.mixed_documents(docs)
     assert many.columns == docs.columns and many.count() == sum(r.copies for r in rows)
     assert mixing.mix(empty(spark)).count() == 0
+    names = ("s", "b", "before", "size", "copies", "copy", "taken", "target", "source_size", "mix_key", "mix_source", "vft0", "key", "row", "id", "known", "sig", "number", "a b")
+    clash = docs.selectExpr("*", *(f"'{c}' AS `{c}`" for c in names))
+    kept = mixing.mixed_documents(clash)
+    assert kept.columns == clash.columns and kept.count() == many.count() and all(x[c] == c for x in kept.collect() for c in names)
+    assert mixing.mixed_documents(empty(spark)).columns == docs.columns
+
+
+def test_mix_of_repeated_rows(spark):
+    """The cut falls among rows of one id and text: the right number of them is taken, and sums stay near the target."""
+    docs = spark.createDataFrame([(7, "one two three", "s")] * 50 + [(i, "word " * 5, "t") for i in range(100, 110)] + [(None, "a b", "s")] * 9, "doc_id long, text string, source string")
+    rows = mixing.mix(docs).collect()
+    assert len(rows) == 69
+    for s in ("s", "t"):
+        mine = [r for r in rows if r.source == s]
+        assert abs(sum(r.taken for r in mine) - mine[0].target) <= 5 and all(r.copies in (0, 1, 2) for r in mine)
+    assert mixing.mixed_documents(docs).count() == sum(r.copies for r in rows)
 
 
 @pytest.mark.parametrize("module", [mixing, lines])
