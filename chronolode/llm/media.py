@@ -323,3 +323,8 @@ def read_back(media: DataFrame) -> DataFrame:
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_back(media_column(read(spark, sf_dir, "documents")))
+
+
+def clips_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The timed clips of every document's file."""
+    return clip_rows(media_column(read(spark, sf_dir, "documents")))

@@ -47,3 +47,45 @@ def test_rows(spark):
     assert m.read_back(m.media_column(empty(spark))).count() == 0
     broken = spark.createDataFrame([(1, 3, b"RIFF"), (2, 0, None)], "doc_id long, n_bytes long, media binary")
     assert [r.payload_bytes for r in m.read_back(broken).collect()] == [None, None] and m.clip_rows(broken).count() == 0
+
+
+def slow_clips(frames):
+    """Cuts by plain loops: a histogram of 16 bins a frame, differences measured against those of the same shot, as far back as the window."""
+    hists = []
+    for f in frames:
+        h = [0] * m.BINS
+        for x in f.ravel().tolist():
+            h[x * m.BINS // 256] += 1
+        hists.append([x / f.size for x in h])
+    diffs, starts = [sum(abs(a - b) for a, b in zip(x, y, strict=True)) for x, y in zip(hists, hists[1:], strict=False)], [0]
+    for i, d in enumerate(diffs):
+        past = diffs[max(starts[-1], i - m.WINDOW) : i]
+        mean = sum(past) / len(past) if past else 0
+        if d > m.LEAST and (not past or d > mean + m.DEVIATIONS * (sum((x - mean) ** 2 for x in past) / len(past)) ** 0.5):
+            starts.append(i + 1)
+    return list(zip(starts, [x - 1 for x in starts[1:]] + [len(frames) - 1], strict=True)), [sum(x.ravel().tolist().count(v) for x in frames for v in range(b * 16, b * 16 + 16)) for b in range(m.BINS)]
+
+
+def test_clips_and_features_match_plain_loops(spark):
+    r = random.Random(7)
+    texts = ["".join(r.choice(a) * 37 for a in (r.choice(["ab", "XYZ", "0189", "éß"]) for _ in range(r.randrange(1, 40)))) * 9 for _ in range(8)] + ["", None, "z" * 40_000 + "A" * 40_000]
+    docs = documents(spark, texts)
+    by = {d: t for d, t, _ in rows_of(docs) if d is not None}
+    clips = {}
+    for x in m.clip_rows(m.media_column(docs.dropDuplicates(["doc_id"]))).collect():
+        clips.setdefault(x.doc_id, []).append((x.clip, x.first_frame, x.last_frame, x.start_s, x.end_s))
+    feature = {x.doc_id: x.feature for x in m.read_back(m.media_column(docs)).collect()}
+    cuts = 0
+    for d, t in by.items():
+        frames = m.decode(m.write_avi(m.padded(t.encode())))
+        want, hist = slow_clips(frames)
+        cuts += len(want) - 1
+        assert sorted(clips[d]) == [(i, a, b, a / m.FPS, (b + 1) / m.FPS) for i, (a, b) in enumerate(want)]
+        assert feature[d].endswith("hist=" + ",".join(map(str, hist))) and f"frames={len(frames)};" in feature[d]
+    assert cuts
+
+
+def test_very_long_text(spark):
+    text = "long text. " * 200_000
+    (row,) = m.read_back(m.media_column(documents(spark, [text]).filter("doc_id = 0").dropDuplicates())).collect()
+    assert row.payload_sha256 == hashlib.sha256(m.padded(text.encode())).hexdigest()
