@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from chronolode.plans.storage import folder, written  # noqa: F401  part of this surface
+
 #: Fixed values of the word rule: everything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 #: ASCII white space as Java and RE2 patterns read it.
@@ -22,18 +22,8 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """A new path in the folder that all executors see; a temporary one only where no folder is set (tests)."""
-    if not (base := spark.conf.get("spark.checkpoint.dir", None)):
-        base = "file://" + tempfile.mkdtemp(prefix="chronolode-")
-        spark.conf.set("spark.checkpoint.dir", base)
-    return f"{base.rstrip('/')}/chronolode-{uuid.uuid4().hex}"
-
-
-def written(df: DataFrame) -> DataFrame:
-    """The rows as a table in the shared folder: later jobs read it again, whichever executors are lost."""
-    path = shared_folder(df.sparkSession)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    """A new path in the folder that all executors see; what is written there goes when the process ends."""
+    return folder(spark, "llm")
 
 
 def per_batch(df: DataFrame, make: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema: str) -> DataFrame:
@@ -50,3 +40,11 @@ def per_batch(df: DataFrame, make: Callable[[pa.RecordBatch], pa.RecordBatch | N
 def id_and_text(docs: DataFrame) -> DataFrame:
     """Only the two columns an operator on texts reads; a null text counts as empty."""
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
+
+
+def first_of_groups(docs: DataFrame, groups: DataFrame) -> DataFrame:
+    """Of rows (component_id) of `groups`, the documents that name one, once: of several rows with one id the one whose text has the least hash. Rows without an id cannot be named and stay. All columns of docs, whatever their names."""
+    kept = groups.select(F.col("component_id").alias("kept_id")).filter(F.col("kept_id").isNotNull()).distinct()
+    rows = docs.select(F.col("doc_id").cast("long").alias("id"), F.xxhash64(F.coalesce(F.col("text"), F.lit(""))).alias("sig"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"))
+    one = rows.join(kept, F.col("id") == F.col("kept_id"), "left_semi").groupBy("id").agg(F.min_by("row", "sig").alias("row"))
+    return one.select("row").union(rows.filter("id IS NULL").select("row")).select(*(F.col("row").getField(c).alias(c) for c in docs.columns))

@@ -3,7 +3,7 @@
 Candidates come from min-hash bands and every one of them is verified on the whole sets, so that no pair below the threshold is linked; a pair at it is missed with a chance of (1 - SIMILAR ** ROWS) ** BANDS, 0.04 %, and a closer one less often.
 Equal sets are one node, so copies are never paired. Each band's nodes are first compared with its least one; then only pairs in different components so far are made, which leaves the components that all pairs would give.
 
-Defined results: a null or empty text, or one of white space only, has the empty set, and these are copies of each other; a text shorter than a shingle is one shingle; a row without an id links nothing and names no component; repeated rows give repeated rows; an empty table gives an empty table; other columns are not read.
+Defined results: of several rows with one id deduplication keeps the one whose text has the least hash; a null or empty text, or one of white space only, has the empty set, and these are copies of each other; a text shorter than a shingle is one shingle; a row without an id links nothing and names no component; repeated rows give repeated rows; an empty table gives an empty table; other columns are not read.
 """
 
 from __future__ import annotations
@@ -14,7 +14,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chronolode.llm.common import id_and_text, per_batch, written
+from chronolode.llm.common import first_of_groups, id_and_text, per_batch, written
 from chronolode.llm.graph import components
 
 SHINGLE, SIMILAR, SEED = 5, 0.8, 42
@@ -121,6 +121,4 @@ def groups(docs: DataFrame, shingle: int = SHINGLE, similar: float = SIMILAR) ->
 
 def deduplicated(docs: DataFrame, shingle: int = SHINGLE, similar: float = SIMILAR) -> DataFrame:
     """docs with one document of each group: the one with the smallest id, once. Rows without an id cannot be named and stay."""
-    kept = groups(docs, shingle, similar).select(F.col("component_id").alias("kept_id")).filter(F.col("kept_id").isNotNull()).distinct()
-    some = docs.join(kept, docs["doc_id"] == kept["kept_id"], "left_semi").dropDuplicates(["doc_id"])
-    return some.unionByName(docs.filter(F.col("doc_id").isNull()))
+    return first_of_groups(docs, groups(docs, shingle, similar))

@@ -2,9 +2,10 @@
 
 A 64-bit fingerprint is cut into segments with a radius each, chosen so that two fingerprints within the distance are within the radius in one segment at least. One side lists its
 segments, the other the small Hamming ball around each of its segments; matches are fetched by an equality join and verified by the whole distance in the join itself.
-Equal fingerprints are one node, so copies are never paired; links tie different fingerprints, and components follow from them.
+Equal fingerprints are one node, so copies are never paired. Each table entry's fingerprints are first compared with the least of them; then only matches in different components so far become rows, which leaves the
+components that all links would give, without the pairs inside a dense cluster.
 
-Defined results: a null or empty text, or one of white space only, has fingerprint zero and links like any other; a null id never names a component while another id does; repeated rows give repeated rows; an empty table gives an empty table; other columns are not read.
+Defined results: of several rows with one id deduplication keeps the one whose text has the least hash; a null or empty text, or one of white space only, has fingerprint zero and links like any other; a null id never names a component while another id does; repeated rows give repeated rows; an empty table gives an empty table; other columns are not read.
 """
 
 from __future__ import annotations
@@ -14,10 +15,10 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chronolode.llm.common import id_and_text, per_batch, read, written
+from chronolode.llm.common import first_of_groups, id_and_text, per_batch, read, written
 from chronolode.llm.graph import components
 
 SHINGLE, DISTANCE, SEED = 4, 4, 42
@@ -55,8 +56,8 @@ def _ball(bits: int, radius: int) -> list[int]:
     return [sum(1 << b for b in some) for r in range(radius + 1) for some in combinations(range(bits), r)]
 
 
-def links(nodes: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
-    """(a, b): pairs of different fingerprints, a < b, within the distance; a pair once for each segment that finds it. nodes: distinct column fp, n of them."""
+def _entries(nodes: DataFrame, n: int, distance: int) -> tuple[DataFrame, DataFrame]:
+    """The table (b, key) and the probes (a, key) of n nodes, a distinct column fp with other columns beside it."""
     plan = NARROW_PLAN if n < FEW else WIDE_PLAN
     assert sum(bits for bits, _ in plan) == 64 and sum(r + 1 for _, r in plan) > distance
     shifts = [sum(bits for bits, _ in plan[:i]) for i in range(len(plan))]
@@ -64,20 +65,42 @@ def links(nodes: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
     def keyed(name: str, masks: list[list[int]]) -> DataFrame:
         """A row for each mask of each segment: the segment's bits with the mask's flipped, and the segment's number above them."""
         all_masks = F.array(*(F.struct(F.lit(shifts[i]).alias("shift"), F.lit((1 << plan[i][0]) - 1).cast("long").alias("bits"), F.lit(x).cast("long").alias("flip"), F.lit(i << 32).cast("long").alias("base")) for i, m in enumerate(masks) for x in m))
-        rows = nodes.select(F.col("fp").alias(name), F.explode(all_masks).alias("m"))
-        return rows.select(name, F.expr(f"((shiftrightunsigned({name}, m.shift) & m.bits) ^ m.flip) + m.base").alias("key"))
+        named = [F.col(c).alias(name if c == "fp" else f"{c}_{name}") for c in nodes.columns]
+        rows = nodes.select(*named, F.explode(all_masks).alias("m"))
+        return rows.withColumn("key", F.expr(f"((shiftrightunsigned({name}, m.shift) & m.bits) ^ m.flip) + m.base")).drop("m")
+
+    return keyed("b", [[0]] * len(plan)), keyed("a", [_ball(*p) for p in plan])
+
+
+def _near(distance: int) -> Column:
+    return F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance
+
+
+def links(nodes: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
+    """(a, b): pairs of different fingerprints, a < b, within the distance; a pair once for each segment that finds it. nodes: distinct column fp, n of them."""
+    table, probes = _entries(nodes.select("fp"), n, distance)
+    return probes.join(table, (probes["key"] == table["key"]) & (F.col("a") < F.col("b")) & _near(distance)).select("a", "b")
+
 
-    table, probes = keyed("b", [[0]] * len(plan)), keyed("a", [_ball(*p) for p in plan])
-    near = (F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance)
-    return probes.join(table, (probes["key"] == table["key"]) & near).select("a", "b")
+def roots(nodes: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
+    """(node, root) of the components that `links` makes, of nodes that have a link: through the least fingerprint of each table entry first, then through links between components."""
+    table, probes = _entries(nodes.select("fp"), n, distance)
+    least = table.groupBy("key").agg(F.min("b").alias("b"))
+    first = written(probes.join(least, (probes["key"] == least["key"]) & (F.col("a") != F.col("b")) & _near(distance)).select("a", "b").distinct())
+    found = components(first)
+    placed = nodes.select("fp").join(found, F.col("fp") == F.col("node"), "left").select("fp", F.coalesce("root", "fp").alias("root"))
+    table, probes = _entries(written(placed), n, distance)
+    rest = probes.join(table, (probes["key"] == table["key"]) & (F.col("a") < F.col("b")) & _near(distance) & (F.col("root_a") != F.col("root_b")))
+    rest = written(rest.select(F.col("root_a").alias("a"), F.col("root_b").alias("b")).distinct())
+    return found if rest.isEmpty() else components(first.union(rest))
 
 
 def groups(docs: DataFrame) -> DataFrame:
     """(doc_id, fp, component_id) of every row."""
     rows = written(fingerprints(docs))
     nodes = written(rows.groupBy("fp").agg(F.min("doc_id").alias("first")))
-    roots = components(links(nodes.select("fp"), nodes.count()))
-    rooted = nodes.join(roots, nodes["fp"] == roots["node"], "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
+    found = roots(nodes, nodes.count())
+    rooted = nodes.join(found, nodes["fp"] == found["node"], "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
     least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
     named = rooted.join(least, "root").select(F.col("fp").alias("f"), "component_id")
     return rows.join(named, rows["fp"] == named["f"]).select("doc_id", "fp", "component_id")
@@ -85,9 +108,7 @@ def groups(docs: DataFrame) -> DataFrame:
 
 def deduplicated(docs: DataFrame) -> DataFrame:
     """docs with one document of each group: the one with the smallest id, once. Rows without an id cannot be named and stay."""
-    kept = groups(docs).select(F.col("component_id").alias("kept_id")).filter(F.col("kept_id").isNotNull()).distinct()
-    some = docs.join(kept, docs["doc_id"] == kept["kept_id"], "left_semi").dropDuplicates(["doc_id"])
-    return some.unionByName(docs.filter(F.col("doc_id").isNull()))
+    return first_of_groups(docs, groups(docs))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

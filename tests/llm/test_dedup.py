@@ -49,6 +49,10 @@ def test_simhash_links_and_groups(spark, monkeypatch, few):
     kept = simhash.deduplicated(docs)
     assert kept.columns == docs.columns
     assert sorted(x.doc_id for x in kept.collect() if x.doc_id is not None) == sorted({min(v) for v in least.values() if v})
+    linked = {x.node: x.root for x in simhash.roots(spark.createDataFrame([(x,) for x in signed], "fp long"), len(fps)).collect()}
+    assert {n: linked.get(n, n) for n in signed} == roots(signed, want)
+    twins = documents(spark, ["a"]).limit(0).unionByName(spark.createDataFrame([(3, "one text", "en", "s", 8, 0.0, "x"), (3, "other text", "en", "s", 10, 0.0, "x")], docs.schema))
+    assert len({x.text for _ in range(3) for x in simhash.deduplicated(twins.repartition(2)).collect()}) == 1
     assert simhash.groups(empty(spark)).count() == 0 and simhash.deduplicated(empty(spark)).count() == 0
 
 
@@ -74,6 +78,11 @@ def test_near_copies_at_five_words(spark):
     kept = near.deduplicated(docs)
     assert kept.columns == docs.columns and sorted(x.doc_id for x in kept.collect() if x.doc_id is not None) == sorted(set(root.values()))
     assert near.groups(empty(spark)).count() == 0
+    names = ("id", "sig", "row", "kept_id", "component_id2", "node", "fp", "key", "keys", "a b")
+    clash = docs.selectExpr("*", *(f"'{c}' AS `{c}`" for c in names))
+    for module in (near, simhash):
+        same = module.deduplicated(clash).collect()
+        assert sorted(x.doc_id for x in same if x.doc_id is not None) == sorted(x.doc_id for x in module.deduplicated(docs).collect() if x.doc_id is not None) and all(x[c] == c for x in same for c in names)
     stayed = {x.doc_id for x in corpus_pipeline.drop_near_copies(spark, docs, "").collect() if x.doc_id is not None}
     assert stayed <= set(root.values()) and not {x.doc_id for x in simhash.deduplicated(docs).collect() if x.doc_id is not None} <= set(root.values())
 
