@@ -2,12 +2,12 @@
 
 Pre-tokens are found by the public split pattern. Each distinct pre-token that a worker has not met is encoded by a recursive query:
 rows (word, position, token) meet the merge table on the joined bytes of neighbours, every word contracts its leftmost pair of least rank, and
-words without a mergeable pair stop. A word's state between steps is the list of its tokens, taken apart into rows in each. In words of more than SHORT bytes further occurrences of the same pair are
-contracted in the same step where that gives the same result: where no vocabulary entry of lower rank begins or ends with the merged token; their state is the rows.
+words without a mergeable pair stop. A word's state between steps is the list of its tokens, taken apart into rows in each. In words of more than SHORT bytes the state is the rows, and further pairs are contracted in the same step
+where that gives the same result: equal pairs where no vocabulary entry of lower rank begins or ends with the merged token, and pairs that no lower rank can reach from either side.
 Decoding joins token rows with the vocabulary and puts their bytes together in the order of position.
 
 Memory: a worker holds the words of about CHUNK characters of text (or of one longer text), two generations of CACHE words with their ids, and a DuckDB of at most DUCK_MEMORY.
-A short word needs as many steps as it has contractions, a long one of n bytes as many as it has different merged pairs, n at most.
+A short word needs as many steps as it has contractions; a long one fewer, at most as many as it has different merged pairs.
 
 Defined results: a null text counts as empty and has no tokens; repeated rows give repeated rows; an empty table gives an empty table; other columns are not read.
 """
@@ -75,18 +75,20 @@ UNION ALL SELECT w, [rank] FROM words JOIN vocab ON s = tok
 ORDER BY w
 """
 
-#: The same for long words: rows are the state, and every second one of a chain of equal pairs is contracted at once where that is safe.
+#: The same for long words: rows are the state, and a step also contracts all pairs that no lower rank can reach first (see `guards`), and every second one of a chain of equal pairs of least rank where that is safe.
 ENCODE_LONG = """
 WITH RECURSIVE step(w, pos, id, turn) AS (
   SELECT w, pos, bytes.id, 0 FROM (SELECT w, unnest(range(1, len(s) + 1)) AS pos, unnest(string_split(s, '')) AS c FROM words WHERE s NOT IN (SELECT tok FROM vocab)) JOIN bytes ON c = bytes.tok
   UNION ALL (
   WITH neighbours AS (SELECT w, pos, id * 65536 + lead(id) OVER o AS pair, lead(pos) OVER o AS next FROM step WINDOW o AS (PARTITION BY w ORDER BY pos)),
-  mergeable AS MATERIALIZED (SELECT w, pos, next, id, safe FROM neighbours JOIN merges USING (pair)),
-  best AS MATERIALIZED (SELECT w, min(id) AS least FROM mergeable GROUP BY w),
-  least AS (SELECT m.*, row_number() OVER (PARTITION BY m.w ORDER BY pos) AS n FROM mergeable m JOIN best ON m.w = best.w AND m.id = best.least),
+  rated AS MATERIALIZED (SELECT n.w, n.pos, n.next, m.id, m.safe, lag(g.ending) OVER o AS before, lead(g.beginning) OVER o AS after
+    FROM neighbours n LEFT JOIN merges m ON n.pair = m.pair LEFT JOIN guards g ON n.pair = g.pair WINDOW o AS (PARTITION BY n.w ORDER BY n.pos)),
+  best AS MATERIALIZED (SELECT w, min(id) AS least FROM rated WHERE id IS NOT NULL GROUP BY w),
+  least AS (SELECT r.*, row_number() OVER (PARTITION BY r.w ORDER BY pos) AS n FROM rated r JOIN best ON r.w = best.w AND r.id = best.least),
   chained AS (SELECT *, pos = lag(next) OVER (PARTITION BY w ORDER BY pos) AS linked FROM least),
   placed AS (SELECT *, n - max(CASE WHEN linked IS DISTINCT FROM true THEN n END) OVER (PARTITION BY w ORDER BY pos) AS place FROM chained),
-  taken AS MATERIALIZED (SELECT w, pos, next, id FROM placed WHERE CASE WHEN safe THEN place % 2 = 0 ELSE n = 1 END)
+  taken AS MATERIALIZED (SELECT w, pos, next, id FROM placed WHERE CASE WHEN safe THEN place % 2 = 0 ELSE n = 1 END
+    UNION SELECT w, pos, next, id FROM rated WHERE id < coalesce(before, 65536) AND id < coalesce(after, 65536))
   SELECT s.w, s.pos, coalesce(t.id, s.id), s.turn + 1
   FROM step s JOIN best ON s.w = best.w LEFT JOIN taken t ON t.w = s.w AND t.pos = s.pos
   WHERE NOT EXISTS (SELECT 1 FROM taken g WHERE g.w = s.w AND g.next = s.pos))
@@ -101,6 +103,25 @@ GROUP BY w ORDER BY w
 DECODE = "SELECT doc, string_agg(tok, '') AS s FROM (SELECT doc, tok FROM tokens JOIN vocab ON rank = id ORDER BY pos) GROUP BY doc ORDER BY doc"
 
 
+def guards(ranks: dict[bytes, int]) -> pa.Table:
+    """(pair, ending, beginning): for neighbouring tokens the least rank of all entries that end with their joined bytes, and that begin with them.
+
+    A token's left neighbour only ever grows to the left, so the two can be joined at rank `ending` at the earliest, and so on the right. A pair of lower rank than what either side can reach is contracted in the end
+    whatever happens around it, so it may be contracted at once."""
+    sides: list[dict[bytes, int]] = [{}, {}]
+    for t, r in ranks.items():
+        for i in range(len(t) - 1):
+            for side, part in zip(sides, (t[i:], t[: len(t) - i]), strict=True):
+                side[part] = min(r, side.get(part, r))
+    never, rows = 1 << 16, {}
+    for part in {*sides[0], *sides[1]}:
+        for i in range(1, len(part)):
+            a, b = ranks.get(part[:i]), ranks.get(part[i:])
+            if a is not None and b is not None:
+                rows[a << 16 | b] = (sides[0].get(part, never), sides[1].get(part, never))
+    return pa.table({"pair": pa.array(rows.keys(), pa.int64()), "ending": pa.array([x for x, _ in rows.values()], pa.int32()), "beginning": pa.array([x for _, x in rows.values()], pa.int32())})
+
+
 class Codec:
     """A worker's codec for one rank file. Bytes are held as the text of the same code points, which DuckDB can join and concatenate."""
 
@@ -120,10 +141,8 @@ class Codec:
         self.db = duckdb.connect(config={"threads": 1, "memory_limit": DUCK_MEMORY})
         vocab = pa.table({"tok": [t.decode("latin-1") for t in ranks], "rank": pa.array(ranks.values(), pa.int64())})
         merges = pa.table({"pair": pa.array(pairs.keys(), pa.int64()), "id": pa.array(pairs.values(), pa.int64()), "safe": [ends.get(r, r) >= r for r in pairs.values()]})
-        for name, table in (("vocab", vocab), ("merges", merges)):
-            self.db.register("given", table)
-            self.db.execute(f"CREATE TABLE {name} AS SELECT * FROM given")
-            self.db.unregister("given")
+        self._store(vocab=vocab, merges=merges)
+        self.path, self.guarded = path, False
         self.db.execute("CREATE TABLE bytes AS SELECT tok, rank AS id FROM vocab WHERE length(tok) = 1")
         self.db.execute("CREATE TABLE codes AS SELECT list(id ORDER BY tok) AS code FROM bytes")
         assert len(self.db.sql("SELECT unnest(code) FROM codes").fetchall()) == 256
@@ -132,11 +151,20 @@ class Codec:
         turned = pa.table({"doc": pa.array([0, 0, 0], pa.int32()), "pos": pa.array([2, 1, 0], pa.int32()), "id": pa.array([ranks[x] for x in (b"c", b"b", b"a")], pa.int32())})
         assert self._decoded(turned) == [(0, "abc")]
 
+    def _store(self, **tables: pa.Table) -> None:
+        for name, table in tables.items():
+            self.db.register("given", table)
+            self.db.execute(f"CREATE TABLE {name} AS SELECT * FROM given")
+            self.db.unregister("given")
+
     def learn(self, words: list[str]) -> None:
         """Encodes words that are not known yet, so many at a time."""
         short, long = [], []
         for x in words:
             (short if len(x) <= SHORT and len(x.encode()) <= SHORT else long).append(x)
+        if long and not self.guarded:
+            self._store(guards=guards(load_ranks(self.path)))
+            self.guarded = True
         for group, query in ((short, ENCODE), (long, ENCODE_LONG)):
             at = 0
             while at < len(group):
