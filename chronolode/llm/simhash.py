@@ -83,10 +83,10 @@ def links(nodes: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
 
 
 def roots(nodes: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
-    """(node, root) of the components that `links` makes, of nodes that have a link: through the least fingerprint of each table entry first, then through links between components."""
-    table, probes = _entries(nodes.select("fp"), n, distance)
-    least = table.groupBy("key").agg(F.min("b").alias("b"))
-    first = written(probes.join(least, (probes["key"] == least["key"]) & (F.col("a") != F.col("b")) & _near(distance)).select("a", "b").distinct())
+    """(node, root) of the components that `links` makes, of nodes that have a link: through the least fingerprint of each table entry first, without any ball, then through links between components."""
+    table, _ = _entries(nodes.select("fp"), n, distance)
+    least = table.groupBy("key").agg(F.min("b").alias("a"), F.count("*").alias("n")).filter("n > 1").select("key", "a")
+    first = written(table.join(least, "key").filter((F.col("a") != F.col("b")) & _near(distance)).select("a", "b").distinct())
     found = components(first)
     placed = nodes.select("fp").join(found, F.col("fp") == F.col("node"), "left").select("fp", F.coalesce("root", "fp").alias("root"))
     table, probes = _entries(written(placed), n, distance)
