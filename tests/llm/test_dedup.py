@@ -56,7 +56,15 @@ def test_simhash_links_and_groups(spark, monkeypatch, few):
     assert simhash.groups(empty(spark)).count() == 0 and simhash.deduplicated(empty(spark)).count() == 0
 
 
-def test_near_copies_at_five_words(spark):
+def test_shared_counts(monkeypatch):
+    monkeypatch.setattr(near, "COLUMNS", 64)
+    r = np.random.default_rng(0)
+    found = [np.unique(r.integers(0, 300, r.integers(0, 90)).astype(np.uint64)) for _ in range(40)]
+    want = np.array([[len(np.intersect1d(a, b)) for b in found] for a in found])
+    assert ((near.shared(found) == want) | np.eye(40, dtype=bool)).all()
+
+
+def test_near_copies_at_five_words(spark, monkeypatch):
     """Copies with edits here and there, beside the Jaccard similarity of all pairs; the fingerprints of most are too far apart for op5."""
     import corpus_pipeline
 
@@ -75,6 +83,8 @@ def test_near_copies_at_five_words(spark):
     root = roots(sets, [(a, b) for a in sets for b in sets if a < b and like(sets[a], sets[b])])
     got = {x.doc_id: x.component_id for x in near.groups(docs).collect() if x.doc_id is not None}
     assert got == root and len(set(root.values())) < len(root)
+    monkeypatch.setattr(near, "TILE", 2)
+    assert {x.doc_id: x.component_id for x in near.groups(docs).collect() if x.doc_id is not None} == root
     kept = near.deduplicated(docs)
     assert kept.columns == docs.columns and sorted(x.doc_id for x in kept.collect() if x.doc_id is not None) == sorted(set(root.values()))
     assert near.groups(empty(spark)).count() == 0
