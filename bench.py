@@ -58,8 +58,8 @@ def main() -> None:
         return made[name]
 
     def cell(key: str, group: str, name: str, method: str, mtd: int, k: int, **more) -> None:  # noqa: ANN003
-        if group in ended:
-            details[key] = {"result": ended[group]}
+        if (mtd, k) >= ended.get(group, (mtd + 1,)):
+            details[key] = {"result": f"no result: a smaller setting took over {LIMIT_S:.0f} s"}
             return
         if time.perf_counter() - began > BUDGET_S:
             details[key] = {"result": "not run: the budget of the bench was used up"}
@@ -71,8 +71,8 @@ def main() -> None:
         queries[key] = round(took, 3)
         spent = {"jvm_peak_mb": peak["jvm_peak_mb"], "shuffle_mb": costs["shuffle_bytes"] >> 20, "spill_mb": costs["spill_bytes"] >> 20, "cpu_s": costs["cpu_ms"] // 1000}
         if r is None:
-            ended[group] = f"no result within {LIMIT_S:.0f} s"
-            details[key] = {"result": ended[group], **spent}
+            ended[group] = min(ended.get(group, (mtd, k)), (mtd, k))
+            details[key] = {"result": f"no result within {LIMIT_S:.0f} s", **spent}
         else:
             details[key] = {**r.candidates, "initial": r.initial_min_util, "end": r.end_min_util, "waves": r.waves, "levels": r.levels, "complete": r.complete, **spent}
         print(key, queries[key], details[key], file=sys.stderr, flush=True)
