@@ -68,3 +68,14 @@ def test_repeated_minutes(spark, tmp_path, monkeypatch, name):
         a, b, _ = differences(df, sql, duck(str(tmp_path)))
         assert not a and not b
     assert df.count() and seen and all(10 * few < many for many, few in seen)
+
+
+def test_all_lengths_over_repeated_minutes(spark, tmp_path):
+    """support_vs_utility_all_lengths, with its ranks, by enumeration; no frontier is stored by chunk for it."""
+    rows = [(t, k, t % 5 + 1) for t in range(1, 241) for k in ("click", "view") if t % 2 or k == "click"]
+    stamped = [(dt.datetime(2024, 1, 1) + dt.timedelta(minutes=t - 1), k, u / 100, 1) for t, k, u in rows]
+    spark.createDataFrame(stamped, "ts timestamp, event_type string, value double, user_id long").coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    df = entry.queries()["support_vs_utility_all_lengths"](spark, str(tmp_path))
+    assert "by_chunk" not in df._jdf.queryExecution().toString()
+    assert {r.episode: (r.utility, r.frequency) for r in df.collect()} == brute.utilities(rows, 2)
+    assert not any("bucket" in f for f in df.inputFiles()) and len({f.rsplit("/", 1)[0] for f in df.inputFiles()}) == 1
