@@ -79,3 +79,11 @@ def test_all_lengths_over_repeated_minutes(spark, tmp_path):
     assert "by_chunk" not in df._jdf.queryExecution().toString()
     assert {r.episode: (r.utility, r.frequency) for r in df.collect()} == brute.utilities(rows, 2)
     assert not any("bucket" in f for f in df.inputFiles()) and len({f.rsplit("/", 1)[0] for f in df.inputFiles()}) == 1
+
+
+@pytest.mark.parametrize("name", ["concatenations_example"])
+def test_reads_the_events(spark, name):
+    df = entry.queries()[name](spark, "/root/testdata/sf0.01")
+    assert any("events.parquet" in f for f in df.inputFiles())
+    a, b, n = differences(df, entry.oracle_sql()[name], duck("/root/testdata/sf0.01"))
+    assert not a and not b and n
