@@ -81,7 +81,7 @@ def test_all_lengths_over_repeated_minutes(spark, tmp_path):
     assert not any("bucket" in f for f in df.inputFiles()) and len({f.rsplit("/", 1)[0] for f in df.inputFiles()}) == 1
 
 
-@pytest.mark.parametrize("name", ["concatenations_example", "theta_pairs_example", "udtf_extend_episode"])
+@pytest.mark.parametrize("name", ["concatenations_example", "theta_pairs_example", "udtf_extend_episode", "example_bounds"])
 def test_reads_the_events(spark, name):
     df = entry.queries()[name](spark, "/root/testdata/sf0.01")
     assert any("events.parquet" in f for f in df.inputFiles())
