@@ -1,7 +1,7 @@
 """Token counts by a map-side look-up in two tiers.
 
-The first tier is a broadcast table of the lengths, in tokens, of frequent pre-tokens: the vocabulary's own words, and words of the first texts; it has at most FREQUENT entries.
-What it misses is encoded once by a worker and kept in the worker's cache. No pre-token is ever shuffled; counts do not depend on what either tier holds.
+The first tier is a broadcast table of the lengths, in tokens, of frequent pre-tokens: the commonest words of all texts, counted in a pass of its own, and the vocabulary's own words; it has at most FREQUENT entries.
+What it misses is encoded once by a worker and kept in the worker's cache. Only sums by word are shuffled, for the first tier; counts do not depend on what either tier holds.
 
 Texts below U+0250 are split by classes that are probed from the tokenizer itself, other texts by the tokenizer's own normalizer and splitter.
 
@@ -17,6 +17,7 @@ from functools import cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from chronolode.llm.bpe import NARROW, chunks
 from chronolode.llm.common import id_and_text, per_batch, read
@@ -104,23 +105,20 @@ def byte_alphabet() -> dict[int, str]:
 
 
 def frequent_lengths(docs: DataFrame, path: str, size: int = FREQUENT) -> dict[str, int]:
-    """The first tier: lengths of the commonest pre-tokens of the first batches of texts, and of the vocabulary's words; `size` entries at most.
+    """The first tier: lengths of the commonest pre-tokens of all texts, and of the vocabulary's words; `size` entries at most.
 
-    Reads as many batches as give `size` rows (word, count), without a shuffle; it stops early however large the table is."""
+    Every text is read; each batch of texts gives a row (word, count) for each of its words, and the sums of the `size` commonest come to the driver."""
 
     def make(batch: pa.RecordBatch) -> pa.RecordBatch:
         seen: Counter[str] = Counter()
         for t in batch["text"].to_pylist():
             seen.update(length_table(path).pretokens(t)[0])
-        top = [(w, n) for w, n in seen.most_common(size) if n > 1]
-        return pa.RecordBatch.from_arrays([pa.array([w for w, _ in top], pa.string()), pa.array([n for _, n in top], pa.int64())], ["word", "n"])
+        return pa.RecordBatch.from_arrays([pa.array(seen.keys(), pa.string()), pa.array(seen.values(), pa.int64())], ["word", "n"])
 
-    total: Counter[str] = Counter()
-    for w, n in per_batch(id_and_text(docs), make, "word string, n long").limit(size).collect():
-        total[w] += n
+    sums = per_batch(id_and_text(docs), make, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    total = {r.word: r.n for r in sums.orderBy(F.desc("n"), "word").limit(size).collect()}
     table = length_table(path)
-    words = [w for w, _ in total.most_common()]
-    words = (words + [w for w in vocabulary_words(table) if w not in total])[:size]
+    words = ([*total] + [w for w in vocabulary_words(table) if w not in total])[:size]
     return dict(zip(words, table.lengths(words), strict=True))
 
 

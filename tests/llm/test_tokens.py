@@ -76,3 +76,15 @@ def test_counts_equal_the_library(spark):
     assert got == sorted((d or -1, len(t.encode()), n[t], n[t] > 2048) for d, t, _ in rows_of(docs))
     assert counts.token_counts(empty(spark), path).count() == 0
     assert len(counts.frequent_lengths(docs, path, size=100)) == 100
+
+
+def test_frequent_words_are_those_of_all_texts(spark):
+    """A word of the last texts alone, commoner than any of the many before."""
+    rows = [(i, " ".join(f"w{i}x{j} w{i}x{j}" for j in range(40))) for i in range(400)] + [(400 + i, "zyzzyvas " * 50) for i in range(20)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).sortWithinPartitions("doc_id")
+    conf, before = "spark.sql.execution.arrow.maxRecordsPerBatch", spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set(conf, "10")
+    try:
+        assert "zyzzyvas" in counts.frequent_lengths(docs, counts.vocabulary_file(), size=50)
+    finally:
+        spark.conf.set(conf, before)
